@@ -11,13 +11,14 @@ their one id; repeated rows are encoded each; columns of the input pass through,
 from __future__ import annotations
 
 import hashlib
+import uuid
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ordwork.llm.bpe import Bpe
-from ordwork.llm.common import map_batches
+from ordwork.llm.common import kept_by_worker, map_batches
 
 KEPT_WORDS = 250_000
 
@@ -86,14 +87,13 @@ class Digests(Codec):
 def encode(docs: DataFrame, tokenizer_path: str, text: str = "text") -> DataFrame:
     """Every row with `ids` array<int>; no shuffle. A column `ids` of the input is replaced."""
     bpe, names = Bpe(tokenizer_path), [c for c in docs.columns if c.lower() != "ids"]
-    held: list[Codec] = []
+    token = uuid.uuid4().hex
 
     def each(batch):
-        if not held:
-            held.append(Codec(bpe))
+        codec = kept_by_worker(token, lambda: Codec(bpe))
         for at in range(0, batch.num_rows, 1024):
             part = batch.slice(at, 1024)
-            yield {n: part.column(k) for k, n in enumerate(names)} | {"ids": held[0].encode(part.column(names.index(text)).to_pylist())}
+            yield {n: part.column(k) for k, n in enumerate(names)} | {"ids": codec.encode(part.column(names.index(text)).to_pylist())}
 
     from pyspark.sql.types import ArrayType, IntegerType, StructField, StructType
 
@@ -117,13 +117,12 @@ def decode(rows: DataFrame, tokenizer_path: str, ids: str = "ids", into: str = "
 def digests(docs: DataFrame, tokenizer_path: str, text: str = "text", key: str = "doc_id") -> DataFrame:
     """key, n_tokens, sha256 of the comma-joined ids, sha256 of the decoded text; one pass, no shuffle."""
     bpe, kind = Bpe(tokenizer_path), dict(docs.dtypes)[key]
-    held: list[Digests] = []
+    token = uuid.uuid4().hex
 
     def each(batch):
-        if not held:
-            held.append(Digests(bpe))
+        codec = kept_by_worker(token, lambda: Digests(bpe))
         for at in range(0, batch.num_rows, 1024):
-            n, ids, decoded = zip(*held[0](batch.column(1).slice(at, 1024).to_pylist()), strict=True)
+            n, ids, decoded = zip(*codec(batch.column(1).slice(at, 1024).to_pylist()), strict=True)
             yield {"key": batch.column(0).slice(at, 1024), "n_tokens": n, "ids_sha256": ids, "decoded_sha256": decoded}
 
     out = map_batches(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), each, f"key {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string")

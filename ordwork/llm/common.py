@@ -95,6 +95,17 @@ def portions(offsets: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
         at = end
 
 
+_KEPT: dict[str, object] = {}
+
+
+def kept_by_worker(token: str, make: Callable[[], object]):
+    """What make gives, kept by a Python worker from task to task until another token is asked for."""
+    if token not in _KEPT:
+        _KEPT.clear()
+        _KEPT[token] = make()
+    return _KEPT[token]
+
+
 def map_batches(frame: DataFrame, each: Callable[[pa.RecordBatch], Iterator[dict]], schema: str | StructType) -> DataFrame:
     """mapInArrow of a function that yields dicts of columns for every input batch."""
     schema = StructType.fromDDL(schema) if isinstance(schema, str) else schema

@@ -18,12 +18,14 @@ scored whole; repeated rows are scored each; the sample doesn't depend on partit
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ordwork.llm.common import map_batches, portions, text_bytes
+from ordwork.llm.common import kept_by_worker, map_batches, portions, text_bytes
 
 ORDER = 3
 #: Bound of the training sample: expected bytes of text for each language, taken by hash of the id.
@@ -65,12 +67,20 @@ def gram_counts(rows: DataFrame) -> DataFrame:
 
 
 class Model:
-    """Frozen statistics of all languages as look-up tables."""
+    """Frozen statistics of all languages; the look-up tables are made where they are first used and don't travel."""
 
     def __init__(self, counts):
         """counts: rows of gram_counts as a pandas frame; their number is bounded by the sample."""
         self.langs = sorted(counts["lang"].unique())
-        grams = {(lang, n): part.sort_values("gram")[["gram", "count"]].to_numpy() for (lang, n), part in counts.groupby(["lang", "n"])}
+        self.grams = {(lang, int(n)): part.sort_values("gram")[["gram", "count"]].to_numpy(np.int64) for (lang, n), part in counts.groupby(["lang", "n"])}
+        self.token = uuid.uuid4().hex
+
+    def __getstate__(self):
+        return {k: v for k, v in self.__dict__.items() if k not in ("row_of", "cost")}
+
+    def prepare(self) -> None:
+        """Work out the tables: which row the last three bytes lead to, and the costs in each row."""
+        grams = self.grams
         none = np.zeros((0, 2), np.int64)
         contexts = {n: np.unique(np.concatenate([grams.get((lang, n + 1), none)[:, 0] >> 8 for lang in self.langs] or [none[:, 0]])) for n in range(1, ORDER + 1)}
         n_rows = 1 + sum(map(len, contexts.values()))
@@ -97,7 +107,7 @@ class Model:
                 lower = cost[at, :, k] if n else np.full((1, 256), 8.0, np.float32)
                 cost[at, :, k] = lower + np.log2((total + distinct) / distinct)[:, None]  # escape, then shorter
                 cost[at[inverse], symbol, k] = np.log2((total + distinct)[inverse] / count)
-        self.row_of, self.cost = row_of.astype(np.int32), cost.reshape(n_rows * 256, len(self.langs))
+        self.row_of, self.cost = row_of.astype(np.int32), np.asfortranarray(cost.reshape(n_rows * 256, len(self.langs)))
 
     def lengths(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
         """(texts, languages): bits of each text."""
@@ -120,20 +130,22 @@ class Model:
 
 
 def fit(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc_id", sample_bytes: int = SAMPLE_BYTES) -> Model:
-    model = Model(gram_counts(sample(labelled, text, lang, key, sample_bytes)).toPandas())
-    model.cost = np.asfortranarray(model.cost)
+    return Model(gram_counts(sample(labelled, text, lang, key, sample_bytes)).toPandas())
+
+
+def prepared(model: Model) -> Model:
+    if model.langs:
+        model.prepare()
     return model
 
 
 def predict(docs: DataFrame, model: Model, text: str = "text", key: str = "doc_id") -> DataFrame:
     """key, lang_pred, score (share of the winner, if code lengths are read as probabilities) and bits_per_byte."""
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast((model.langs, model.row_of, model.cost))  # bounded by the sample and 2^24 contexts
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # a few MB, bounded by the sample
     kind = dict(docs.dtypes)[key]
 
     def each(batch):
-        model = Model.__new__(Model)
-        model.langs, model.row_of, model.cost = shared.value
+        model = kept_by_worker(shared.value.token, lambda: prepared(shared.value))
         data, offsets = text_bytes(batch.column(1))
         for a, b in portions(offsets, PORTION):
             lo, hi = offsets[a], offsets[b]

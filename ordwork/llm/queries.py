@@ -38,6 +38,19 @@ def decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ordwork.llm.suffix_dedup import digest
+
+    return digest(table(spark, sf_dir, "documents"))
+
+
+def simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ordwork.llm.simhash import near_duplicates
+
+    rows = near_duplicates(table(spark, sf_dir, "documents"))
+    return rows.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
 def token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ordwork.llm.token_count import count_tokens
 
@@ -64,8 +77,10 @@ def queries():
         "op1_line_dedup": line_dedup,
         "op4_decontamination": decontamination,
         "op5_token_counts": token_counts,
+        "op6_suffix_dedup": suffix_dedup,
         "op7_bpe_codec": bpe_codec,
         "op9_language_id": language_id,
+        "op10_simhash": simhash,
     }
 
 

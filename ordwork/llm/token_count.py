@@ -10,12 +10,14 @@ clashes with a result column is replaced by the result; repeated rows are counte
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ordwork.llm.bpe import Bpe
-from ordwork.llm.common import map_batches
+from ordwork.llm.common import kept_by_worker, map_batches
 
 #: Words whose counts a task keeps besides the whole tokens; the table is emptied when it is full.
 KEPT_WORDS = 300_000
@@ -43,15 +45,14 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, text: str = "text", key:
     bpe = Bpe(tokenizer_path)
     whole = bpe.whole_tokens()
     kind = dict(docs.dtypes)[key]
-    held: list[Counter] = []
+    token = uuid.uuid4().hex
 
     def each(batch):
-        if not held:
-            held.append(Counter(bpe, whole))
+        count = kept_by_worker(token, lambda: Counter(bpe, whole))
         texts, keys, size = batch.column(1), batch.column(0), 1024
         for at in range(0, batch.num_rows, size):
             part = texts.slice(at, size).to_pylist()
-            yield {"key": keys.slice(at, size), "n_tokens": held[0](part), "n_bytes": [len(t.encode()) if t else 0 for t in part]}
+            yield {"key": keys.slice(at, size), "n_tokens": count(part), "n_bytes": [len(t.encode()) if t else 0 for t in part]}
 
     out = map_batches(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), each, f"key {kind}, n_tokens bigint, n_bytes bigint")
     return out.select(F.col("key").alias(key), "n_bytes", "n_tokens")
