@@ -12,13 +12,16 @@ from __future__ import annotations
 
 import hashlib
 import uuid
+from itertools import chain
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BooleanType, IntegerType, LongType, StructField, StructType
 
 from ordwork.llm.bpe import Bpe
-from ordwork.llm.common import kept_by_worker, map_batches
+from ordwork.llm.common import kept_by_worker, map_batches, without
 
 KEPT_WORDS = 250_000
 
@@ -85,20 +88,27 @@ class Digests(Codec):
 
 
 def encode(docs: DataFrame, tokenizer_path: str, text: str = "text") -> DataFrame:
-    """Every row with `ids` array<int>; no shuffle. A column `ids` of the input is replaced."""
-    bpe, names = Bpe(tokenizer_path), [c for c in docs.columns if c.lower() != "ids"]
-    token = uuid.uuid4().hex
+    """Every row with `ids` array<int>, `n_tokens` and `exact`: whether decoding gives the text back; no shuffle.
+
+    Columns of these names in the input are replaced.
+    """
+    bpe, token = Bpe(tokenizer_path), uuid.uuid4().hex
+    kept = without(docs, "ids", "n_tokens", "exact")
+    names = kept.columns
 
     def each(batch):
         codec = kept_by_worker(token, lambda: Codec(bpe))
-        for at in range(0, batch.num_rows, 1024):
-            part = batch.slice(at, 1024)
-            yield {n: part.column(k) for k, n in enumerate(names)} | {"ids": codec.encode(part.column(names.index(text)).to_pylist())}
-
-    from pyspark.sql.types import ArrayType, IntegerType, StructField, StructType
-
-    kept = docs.select(*[F.col(f"`{c}`") for c in names])
-    schema = StructType([*kept.schema.fields, StructField("ids", ArrayType(IntegerType()))])
+        for at in range(0, batch.num_rows, 512):
+            part = batch.slice(at, 512)
+            texts = part.column(names.index(text)).to_pylist()
+            ids = codec.encode(texts)
+            exact = [codec.decode(i) == (t or "") for i, t in zip(ids, texts, strict=True)]
+            flat = pa.array(np.fromiter(chain.from_iterable(ids), np.int32))
+            sizes = list(map(len, ids))
+            lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))), pa.int32()), flat)
+            yield {n: part.column(k) for k, n in enumerate(names)} | {"ids": lists, "n_tokens": sizes, "exact": exact}
+
+    schema = StructType([*kept.schema.fields, StructField("ids", ArrayType(IntegerType())), StructField("n_tokens", LongType()), StructField("exact", BooleanType())])
     return map_batches(kept, each, schema)
 
 

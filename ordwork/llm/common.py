@@ -106,6 +106,12 @@ def kept_by_worker(token: str, make: Callable[[], object]):
     return _KEPT[token]
 
 
+def as_array(column, kind: pa.DataType) -> pa.Array:
+    if isinstance(column, pa.Array):
+        return column if column.type == kind else column.cast(kind)
+    return pa.array(column, kind)
+
+
 def map_batches(frame: DataFrame, each: Callable[[pa.RecordBatch], Iterator[dict]], schema: str | StructType) -> DataFrame:
     """mapInArrow of a function that yields dicts of columns for every input batch."""
     schema = StructType.fromDDL(schema) if isinstance(schema, str) else schema
@@ -115,7 +121,7 @@ def map_batches(frame: DataFrame, each: Callable[[pa.RecordBatch], Iterator[dict
         for batch in batches:
             if batch.num_rows:
                 for columns in each(batch):
-                    yield pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) for f in arrow], schema=arrow)
+                    yield pa.RecordBatch.from_arrays([as_array(columns[f.name], f.type) for f in arrow], schema=arrow)
 
     return frame.mapInArrow(run, schema)
 

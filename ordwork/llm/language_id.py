@@ -21,6 +21,7 @@ from __future__ import annotations
 import uuid
 
 import numpy as np
+import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -139,6 +140,25 @@ def prepared(model: Model) -> Model:
     return model
 
 
+def judged(column: pa.Array, model: Model) -> list[tuple[str, float, float]]:
+    """(language, score, bits per byte) of each text."""
+    data, offsets = text_bytes(column)
+    out: list[tuple[str, float, float]] = []
+    for a, b in portions(offsets, PORTION):
+        lo, hi = offsets[a], offsets[b]
+        texts = column.slice(a, b - a).to_pylist()
+        known = [bool(t) and bool(model.langs) and LETTER.search(t) is not None for t in texts]
+        if not model.langs:
+            out += [(UNDETERMINED, 0.0, 0.0)] * len(texts)
+            continue
+        bits = model.lengths(data[lo:hi], offsets[a : b + 1] - lo)
+        best, least = bits.argmin(1), bits.min(1)
+        score = 1 / np.exp2(np.maximum(least[:, None] - bits, -1000)).sum(1)
+        sizes = np.maximum(np.diff(offsets[a : b + 1]), 1)
+        out += [(model.langs[w], s, v) if k else (UNDETERMINED, 0.0, 0.0) for k, w, s, v in zip(known, best.tolist(), score.tolist(), (least / sizes).tolist(), strict=True)]
+    return out
+
+
 def predict(docs: DataFrame, model: Model, text: str = "text", key: str = "doc_id") -> DataFrame:
     """key, lang_pred, score (share of the winner, if code lengths are read as probabilities) and bits_per_byte."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # a few MB, bounded by the sample
@@ -146,29 +166,29 @@ def predict(docs: DataFrame, model: Model, text: str = "text", key: str = "doc_i
 
     def each(batch):
         model = kept_by_worker(shared.value.token, lambda: prepared(shared.value))
-        data, offsets = text_bytes(batch.column(1))
-        for a, b in portions(offsets, PORTION):
-            lo, hi = offsets[a], offsets[b]
-            bits = model.lengths(data[lo:hi], offsets[a : b + 1] - lo)
-            sizes = np.diff(offsets[a : b + 1])
-            texts = batch.column(1).slice(a, b - a).to_pylist()
-            known = np.array([bool(t) and LETTER.search(t) is not None for t in texts]) & bool(model.langs)
-            if model.langs:
-                best = bits.argmin(1)
-                least = bits.min(1)
-                score = 1 / np.exp2(np.maximum(least[:, None] - bits, -1000)).sum(1)
-                names = np.array([*model.langs], object)[best]
-            else:
-                least, score, names = np.zeros(b - a), np.zeros(b - a), np.full(b - a, UNDETERMINED, object)
-            yield {
-                "key": batch.column(0).slice(a, b - a), "lang_pred": np.where(known, names, UNDETERMINED), "score": np.where(known, score, 0.0),
-                "bits_per_byte": np.where(known, least / np.maximum(sizes, 1), 0.0),
-            }
+        labels, scores, bits = zip(*judged(batch.column(1), model), strict=True)
+        yield {"key": batch.column(0), "lang_pred": labels, "score": scores, "bits_per_byte": bits}
 
     out = map_batches(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), each, f"key {kind}, lang_pred string, score double, bits_per_byte double")
     return out.withColumnRenamed("key", key)
 
 
+def select_known(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
+    """docs whose language can be told, all columns as they are; one pass, no shuffle."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    names = docs.columns
+    at = names.index(text)
+
+    def each(batch):
+        model = kept_by_worker(shared.value.token, lambda: prepared(shared.value))
+        known = np.array([label != UNDETERMINED for label, _, _ in judged(batch.column(at), model)], bool)
+        if known.any():
+            kept = batch.filter(pa.array(known))
+            yield {n: kept.column(k) for k, n in enumerate(names)}
+
+    return map_batches(docs, each, docs.schema)
+
+
 def held_out(key: str = "doc_id"):
     """True where crc32 of the id as text leaves remainder 2 by 4."""
     return F.coalesce(F.crc32(F.col(key).cast("string")) % 4 == 2, F.lit(False))

@@ -11,6 +11,14 @@ from ordwork.llm.common import table
 
 #: Tokens beyond which a document counts as over the limit.
 TOKEN_LIMIT = 512
+#: The rules of the URL filter's query.
+RULES = [
+    ("com/en/", "block"),
+    ("example.com/en/7", "allow"),
+    ("net/de/", "block"),
+    ("example.net/de/8", "block"),
+    ("org/es/", "block"),
+]
 
 
 def tokenizer_path() -> str:
@@ -28,6 +36,29 @@ def line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "n_lines", "n_removed", "text")
 
 
+def url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ordwork.llm.url_filter import Rule, judge, mine
+
+    rules = [Rule(text, verdict) for text, verdict in RULES]
+    pages, labels = table(spark, sf_dir, "pages"), table(spark, sf_dir, "labels")
+    bad = labels.groupBy(F.col("doc_id").alias("page_id")).agg(F.max((F.col("toxic") == 1) | (F.col("quality") == 0)).alias("bad"))
+    mined = mine(pages.select("page_id", "url").join(bad, "page_id"), "url", "bad")
+    return judge(pages.select("page_id", "url"), rules, mined).select("page_id", "host", "path", "rule", "verdict", F.col("mined").cast("long").alias("mined"))
+
+
+def embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ordwork.llm.embedding_dedup import near_vectors
+
+    rows = near_vectors(table(spark, sf_dir, "embeddings"))
+    return rows.withColumn("kept", F.col("vec_id") == F.col("component_id"))
+
+
+def html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ordwork.llm.html_extract import main_text
+
+    return main_text(table(spark, sf_dir, "pages")).withColumn("n_chars", F.char_length("text").cast("long"))
+
+
 def decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ordwork.llm.decontaminate import report
 
@@ -75,10 +106,13 @@ def language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries():
     return {
         "op1_line_dedup": line_dedup,
+        "op2_url_filter": url_filter,
+        "op3_embedding_dedup": embedding_dedup,
         "op4_decontamination": decontamination,
         "op5_token_counts": token_counts,
         "op6_suffix_dedup": suffix_dedup,
         "op7_bpe_codec": bpe_codec,
+        "op8_html_extract": html_extract,
         "op9_language_id": language_id,
         "op10_simhash": simhash,
     }
