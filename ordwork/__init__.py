@@ -1,0 +1 @@
+"""ordwork: ordered graph work on Spark. One rule, many orders."""
