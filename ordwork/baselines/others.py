@@ -35,7 +35,7 @@ def dijkstra_local(graph: EdgeSet, source: int) -> DataFrame:
         return pd.DataFrame({"v": list(out), "dist": list(out.values())})
 
     kind = graph.weight_type.simpleString()
-    return graph.edges.groupBy(F.lit(0)).applyInPandas(search, f"v long, dist {kind}")
+    return graph.edges.withColumn("all", F.lit(0)).groupBy("all").applyInPandas(search, f"v long, dist {kind}")
 
 
 def level_synchronous(spark: SparkSession, graph: EdgeSet, source: int) -> RunResult:

@@ -57,7 +57,7 @@ class Loop:
         if len(self.later_paths) > COMPACT:
             later = self.store.read(self.later_paths, self.items)
             rest = later.groupBy(*[c for c in later.columns if c != "n"]).agg(F.sum("n").alias("n")).select(*later.columns)
-            path = self.store.write(rest.where(self.key(rest) > literal(key)), "later")
+            path = self.store.write(rest.where(self.key(rest) >= literal(key)), "later")  # those of this class may still be due
             self.later_paths = [path]
 
     def run(self, step: Callable[[DataFrame, DataFrame, object, dict], DataFrame]) -> RunResult:
