@@ -36,7 +36,7 @@ from ordwork.llm.common import Scratch, map_batches, portions, release, text_byt
 LENGTH = 100
 GRAM = 48
 #: Bytes of text that are refined together; a longer text is cut into overlapping pieces of so many starts.
-PORTION = 2_000_000
+PORTION = 750_000
 U = np.uint64
 PLACE = U(0xFFFFFF)
 
@@ -59,6 +59,14 @@ def refine(level: dict[int, np.ndarray], n: int) -> np.ndarray:
     return level[n]
 
 
+def refine_at(level: dict[int, np.ndarray], n: int, at: np.ndarray) -> np.ndarray:
+    """As refine, at some positions only."""
+    if n in level:
+        return level[n][at]
+    half = n // 2 if n & (n - 1) == 0 else 1 << (n.bit_length() - 1)
+    return pair(refine_at(level, half, at), refine_at(level, half, at + (n - half)))
+
+
 def initial(data: np.ndarray) -> dict[int, np.ndarray]:
     """Buckets of 8 bytes: the bytes themselves."""
     if len(data) < 8:
@@ -83,35 +91,39 @@ class Runs:
         self.gram_id = self.first = self.size = self.text = self.start = np.zeros(0, np.int64)
         if n <= 0:
             return
-        level = initial(data)
-        grams, self.whole = refine(level, gram), refine(level, length)
-        self.low = refine(level, 1 << (length.bit_length() - 2))
+        self.level, self.length = initial(data), length
+        grams = refine(self.level, gram)
         ahead = length - gram + 1
         order = (grams[: n + ahead - 1] & ~PLACE) | np.arange(n + ahead - 1, dtype=np.uint64)
         pointer = (smallest_ahead(order, ahead) & PLACE).astype(np.int64)
-        text = np.repeat(np.arange(len(offsets) - 1), np.diff(offsets))[:n]
-        pointer[offsets[1:][text] - np.arange(n) < length] = -1  # strings that would cross the end of their text
-        first = np.flatnonzero(np.concatenate(([True], (pointer[1:] != pointer[:-1]) | (text[1:] != text[:-1]))))
+        for end in offsets[1:].tolist():  # strings that would cross the end of their text
+            pointer[max(end - length + 1, 0) : end] = -1
+        first = np.flatnonzero(np.concatenate(([True], pointer[1:] != pointer[:-1])))
         size = np.diff(np.append(first, n))
         inside = pointer[first] >= 0
         self.first, self.size = first[inside], size[inside]
         self.pointer = pointer[self.first]
         self.gram_id = grams[self.pointer]
-        self.text, self.start = text[self.first], self.first - offsets[text[self.first]]
-        self.length = length
+        self.text = np.searchsorted(offsets, self.first, side="right") - 1
+        self.start = self.first - offsets[self.text]
+
+    def whole(self, at: np.ndarray) -> np.ndarray:
+        """Identifiers of the strings that start at `at`."""
+        return refine_at(self.level, self.length, at)
 
-    def content(self) -> np.ndarray:
-        """Identifier of each run's bytes and of where its pointer lies in them."""
-        ends = pair(self.whole[self.first], self.whole[self.first + self.size - 1])
-        return pair(ends, ((self.pointer - self.first) << 16 | self.size).astype(np.uint64))
+    def content(self, k: np.ndarray) -> np.ndarray:
+        """Identifier of the bytes of runs k and of where the pointer lies in them."""
+        first, size = self.first[k], self.size[k]
+        ends = pair(self.whole(first), self.whole(first + size - 1))
+        return pair(ends, ((self.pointer[k] - first) << 16 | size).astype(np.uint64))
 
     def second(self, at: np.ndarray) -> np.ndarray:
-        """A second identifier of the strings that start at `at`, from a lower level."""
+        """A second identifier of the strings that start at `at`, put together from a lower level in another way."""
         step = 1 << (self.length.bit_length() - 2)
-        out = self.low[at]
+        out = refine_at(self.level, step, at)
         for k in range(step, self.length - step, step):
-            out = pair(self.low[at + k], out)
-        return pair(self.low[at + self.length - step], out)
+            out = pair(refine_at(self.level, step, at + k), out)
+        return pair(refine_at(self.level, step, at + self.length - step), out)
 
 
 def spots(ids: np.ndarray, starts: np.ndarray) -> np.ndarray:
@@ -172,8 +184,8 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
 
     def candidates(batch):
         for runs, ids, starts in each_runs(batch, length, gram):
-            at = bloom.test(repeated.value, runs.gram_id)
-            g, k, ids, starts, n = runs.gram_id[at], runs.content()[at], ids[at], starts[at], runs.size[at]
+            at = np.flatnonzero(bloom.test(repeated.value, runs.gram_id))
+            g, k, ids, starts, n = runs.gram_id[at], runs.content(at), ids[at], starts[at], runs.size[at]
             late = settled((k, g), ids, starts)
             if len(g):
                 yield {"g": spread(g, late, ids, starts), "k": k.view(np.int64), "id": ids, "start": starts, "n": n.astype(np.int32), "late": late}
@@ -200,7 +212,7 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
             inner = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
             where = np.repeat(runs.first[at], n) + inner
             ids, starts = np.repeat(ids[at], n), np.repeat(starts[at], n) + inner
-            a, b = runs.whole[where], runs.second(where)
+            a, b = runs.whole(where), runs.second(where)
             late = settled((b, a), ids, starts)
             yield {"a": spread(a, late, ids, starts), "b": b.view(np.int64), "id": ids, "start": starts, "late": late}
 
