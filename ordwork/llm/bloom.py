@@ -10,6 +10,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ordwork.llm.common import tidy
+
 LEAST_BITS, MOST_BITS = 1 << 20, 1 << 29
 BITS_PER_KEY = 16
 
@@ -19,7 +21,8 @@ def build(keys: DataFrame, n: int):
     bits = 1 << min(max(int(n * BITS_PER_KEY).bit_length(), LEAST_BITS.bit_length() - 1), MOST_BITS.bit_length() - 1)
     at = F.col(keys.columns[0]).bitwiseAND(F.lit(bits - 1))
     words = keys.select(F.shiftright(at, 6).alias("word"), F.call_function("shiftleft", F.lit(1).cast("long"), at.bitwiseAND(F.lit(63)).cast("int")).alias("bit"))
-    rows = words.groupBy("word").agg(F.bit_or("bit").alias("bits")).toArrow()  # at most bits / 64 rows
+    with tidy(keys.sparkSession):
+        rows = words.groupBy("word").agg(F.bit_or("bit").alias("bits")).toArrow()  # at most bits / 64 rows
     out = np.zeros(bits // 64, np.uint64)
     out[rows["word"].to_numpy()] = rows["bits"].to_numpy().view(np.uint64)
     return keys.sparkSession.sparkContext.broadcast(out)

@@ -3,9 +3,9 @@
 from __future__ import annotations
 
 import atexit
-import gc
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -44,7 +44,8 @@ class Scratch:
         self.count += 1
         path = f"{self.root}/{self.count:03d}-{name}"
         writer = frame.write.option("compression", "zstd")
-        (writer.partitionBy(partition_by) if partition_by else writer).parquet(path)
+        with tidy(self.spark):
+            (writer.partitionBy(partition_by) if partition_by else writer).parquet(path)
         out = self.spark.read.schema(frame.schema).parquet(path)
         out.scratch_path = path
         return out
@@ -61,10 +62,16 @@ class Scratch:
             pass
 
 
-def release(spark: SparkSession) -> None:
-    """Let Spark's context cleaner delete the shuffle files of finished phases now rather than at its next full collection."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+@contextmanager
+def tidy(spark: SparkSession):
+    """Inside, Spark deletes the shuffle files of each action when it ends, not when its driver next collects garbage."""
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(name, None)
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before) if before is not None else spark.conf.unset(name)
 
 
 def without(frame: DataFrame, *names: str) -> DataFrame:

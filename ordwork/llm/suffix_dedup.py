@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ordwork.llm import bloom
-from ordwork.llm.common import Scratch, map_batches, portions, release, text_bytes, without
+from ordwork.llm.common import Scratch, map_batches, portions, text_bytes, without
 
 LENGTH = 100
 GRAM = 48
@@ -168,7 +168,6 @@ def spread(keys: np.ndarray, out: np.ndarray, ids: np.ndarray, starts: np.ndarra
 
 def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "doc_id", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """(id, start, n): n consecutive starts of strings of `length` bytes that also stand earlier."""
-    spark = docs.sparkSession
     rows = docs.where(F.col(key).isNotNull() & F.col(text).isNotNull()).select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
 
     def pointers(batch):
@@ -180,7 +179,6 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
     shared = scratch.save(shared, "shared")
     repeated = bloom.build(shared, shared.count())
     scratch.drop(shared)
-    release(spark)
 
     def candidates(batch):
         for runs, ids, starts in each_runs(batch, length, gram):
@@ -195,7 +193,6 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
     ranked = found.withColumn("rank", F.rank().over(same)).withColumn("mixed", F.min("k").over(bucket) != F.max("k").over(bucket))
     kept = ranked.where("late or rank > 1 or mixed").select("id", "start", "n", (F.col("late") | (F.col("rank") > 1)).alias("late"))
     runs_table = scratch.save(kept, "runs")
-    release(spark)
     open_runs = runs_table.where("not late").select("id", "start")
 
     def named(batch):
@@ -220,7 +217,6 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
     one = map_batches(rows, singles, "a bigint, b bigint, id bigint, start bigint, late boolean")
     one = one.withColumn("rank", F.rank().over(Window.partitionBy("a", "b").orderBy("id", "start"))).where("late or rank > 1")
     singles_table = scratch.save(one.select("id", "start", F.lit(1).alias("n")), "singles")
-    release(spark)
     return runs_table.where("late").select("id", "start", "n").unionByName(singles_table)
 
 
