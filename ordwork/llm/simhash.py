@@ -24,6 +24,7 @@ from itertools import combinations
 from math import comb
 
 import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -193,20 +194,52 @@ def probe(flips, part: int, keep: int):
     return F.transform(flips, lambda f: F.struct(F.lit(part).alias("part"), F.col("fp").bitwiseAND(F.lit(keep)).bitwiseXOR(f).alias("v")))
 
 
-def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", width: int = 3, distance: int = DISTANCE) -> DataFrame:
-    """key, fp (long), component_id of every row."""
+def jaccard(one: bytes, other: bytes, width: int) -> float:
+    """Similarity of the sets of word shingles of two texts; two texts without words are equal."""
+    sets = []
+    for raw in (one, other):
+        words = raw.lower().split()
+        sets.append({b" ".join(words[k : k + width]) for k in range(max(len(words) - width + 1, 1))} if words else set())
+    both = len(sets[0] & sets[1])
+    return both / (len(sets[0]) + len(sets[1]) - both) if sets[0] or sets[1] else 1.0
+
+
+def verified(found: DataFrame, distinct: DataFrame, docs: DataFrame, text: str, key: str, width: int, similarity: float) -> DataFrame:
+    """The links whose texts are similar enough; each fingerprint is represented by the text of its smallest id."""
+    ends = found.select("a", "b", F.explode(F.array(F.struct(F.lit(0).alias("side"), F.col("a").alias("fp")), F.struct(F.lit(1).alias("side"), F.col("b").alias("fp")))).alias("x")).select("a", "b", "x.side", "x.fp")
+    texts = docs.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("least")).agg(F.min(text).alias("text"))
+    used = distinct.join(ends.select("fp").distinct(), "fp", "left_semi").join(texts, "least").select("fp", "text")
+    both = ends.join(used, "fp").groupBy("a", "b").agg(F.min(F.when(F.col("side") == 0, F.col("text"))).alias("one"), F.min(F.when(F.col("side") == 1, F.col("text"))).alias("other"))
+
+    def each(batch):
+        keep = [jaccard((x.as_py() or "").encode(), (y.as_py() or "").encode(), width) >= similarity for x, y in zip(batch.column(2), batch.column(3), strict=True)]
+        if any(keep):
+            kept = batch.filter(pa.array(keep))
+            yield {"a": kept.column(0), "b": kept.column(1)}
+
+    return map_batches(both, each, "a bigint, b bigint")
+
+
+def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", width: int = 3, distance: int = DISTANCE, verify: tuple[int, float] | None = None) -> DataFrame:
+    """key, fp (long), component_id of every row.
+
+    verify = (words, similarity): links between different fingerprints also need that Jaccard similarity of word shingles.
+    """
     scratch = Scratch(docs.sparkSession, "simhash")
     marked = scratch.save(fingerprints(docs, text, key, width), "marked")
     distinct = scratch.save(marked.groupBy("fp").agg(F.min(key).alias("least")), "distinct")
-    roots = components(scratch, links(distinct, distance).toDF("u", "v"))
+    found = links(distinct, distance)
+    if verify:
+        found = verified(scratch.save(found, "links"), distinct, docs, text, key, *verify)
+    roots = components(scratch, found.toDF("u", "v"))
     named = distinct.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     least = named.groupBy("root").agg(F.min("least").alias("component_id"))
     of = scratch.save(named.join(least, "root").select("fp", "component_id"), "of")
     return marked.join(of, "fp").select(key, "fp", "component_id")
 
 
-def keep_one(docs: DataFrame, text: str = "text", key: str = "doc_id", width: int = 3, distance: int = DISTANCE) -> DataFrame:
+def keep_one(docs: DataFrame, text: str = "text", key: str = "doc_id", width: int = 3, distance: int = DISTANCE, verify: tuple[int, float] | None = None) -> DataFrame:
     """docs without those whose component holds a smaller id; rows with a null id stay, rows that repeat an id are one document."""
-    found = near_duplicates(docs, text, key, width, distance)
+    found = near_duplicates(docs, text, key, width, distance, verify)
     later = found.where(F.col(key).isNotNull() & (F.col("component_id") < F.col(key))).select(F.col(key).alias("__key")).distinct()
     return docs.join(later, F.col(key) == F.col("__key"), "left_anti")
