@@ -62,16 +62,23 @@ class Scratch:
             pass
 
 
+#: Rows that go to Python at a time: texts may be long, and both sides hold a batch.
+BATCH_ROWS = "1000"
+
+
 @contextmanager
 def tidy(spark: SparkSession):
-    """Inside, Spark deletes the shuffle files of each action when it ends, not when its driver next collects garbage."""
-    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-    before = spark.conf.get(name, None)
-    spark.conf.set(name, "true")
+    """Inside, Spark deletes the shuffle files of each action when it ends, not when its driver next collects garbage, and
+    hands smaller batches to Python. Both are settings of the running session and are put back."""
+    wanted = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": BATCH_ROWS}
+    before = {name: spark.conf.get(name, None) for name in wanted}
+    for name, value in wanted.items():
+        spark.conf.set(name, value)
     try:
         yield
     finally:
-        spark.conf.set(name, before) if before is not None else spark.conf.unset(name)
+        for name, value in before.items():
+            spark.conf.set(name, value) if value is not None else spark.conf.unset(name)
 
 
 def without(frame: DataFrame, *names: str) -> DataFrame:

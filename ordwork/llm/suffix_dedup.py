@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ordwork.llm import bloom
-from ordwork.llm.common import Scratch, map_batches, portions, text_bytes, without
+from ordwork.llm.common import Scratch, map_batches, portions, text_bytes
 
 LENGTH = 100
 GRAM = 48
@@ -228,9 +228,8 @@ def merged(starts: np.ndarray, n: np.ndarray, length: int) -> tuple[np.ndarray,
     return low[new], high[np.append(np.flatnonzero(new)[1:] - 1, len(high) - 1)]
 
 
-def repeats(docs: DataFrame, text: str = "text", key: str = "doc_id", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
+def repeats(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "doc_id", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """docs with `__cover`: array of (start, n) of the starts that also stand earlier, null if none."""
-    scratch = Scratch(docs.sparkSession, "suffix")
     found = covered(docs, scratch, text, key, length, gram)
     per = found.groupBy("id").agg(F.collect_list(F.struct(F.col("start").cast("int").alias("start"), "n")).alias("__cover")).withColumnRenamed("id", "__id")
     return docs.join(per, F.col(key).cast("long") == F.col("__id"), "left").drop("__id")
@@ -254,7 +253,7 @@ def cut(raw: bytes, spans: list[tuple[int, int]]) -> bytes:
 
 def remove_repeats(docs: DataFrame, text: str = "text", key: str = "doc_id", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """key, spans (start, end in bytes) that go, and `kept`: the bytes that stay, which may end inside a character."""
-    rows = repeats(without(docs, "__cover", "__id").select(key, text), text, key, length, gram)
+    rows = repeats(docs.select(key, text), Scratch(docs.sparkSession, "suffix"), text, key, length, gram)
     kind = dict(docs.dtypes)[key]
 
     def each(batch):
@@ -268,8 +267,9 @@ def remove_repeats(docs: DataFrame, text: str = "text", key: str = "doc_id", len
 
 
 def digest(docs: DataFrame, text: str = "text", key: str = "doc_id", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """key, n_bytes, n_removed, n_spans and sha256 of the bytes that stay."""
-    rows = repeats(docs.select(key, text), text, key, length, gram)
+    """key, n_bytes, n_removed, n_spans and sha256 of the bytes that stay; made at once, as what it reads is dropped then."""
+    scratch = Scratch(docs.sparkSession, "suffix")
+    rows = repeats(docs.select(key, text), scratch, text, key, length, gram)
     kind = dict(docs.dtypes)[key]
 
     def each(batch):
@@ -284,4 +284,4 @@ def digest(docs: DataFrame, text: str = "text", key: str = "doc_id", length: int
         yield out
 
     out = map_batches(rows.select(F.col(key).alias("key"), F.col(text).alias("text"), "__cover"), each, f"key {kind}, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string")
-    return out.withColumnRenamed("key", key)
+    return scratch.save(out.withColumnRenamed("key", key), "digest")
