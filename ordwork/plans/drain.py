@@ -55,7 +55,7 @@ class Queue:
         order = np.lexsort((dst, src))
         src = src[order]
         at = np.flatnonzero(np.concatenate(([True], src[1:] != src[:-1]))) if len(src) else np.zeros(0, int)
-        ends = np.append(at[1:], len(src))
+        ends = np.append(at[1:], len(src)) if len(src) else at
         self.starts = dict(zip(src[at].tolist(), zip(at.tolist(), ends.tolist(), strict=True), strict=True))
         self.dst = dst[order].tolist()
         w = self.edges["w"].to_pylist()
