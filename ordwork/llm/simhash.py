@@ -37,8 +37,9 @@ DISTANCE = 3
 SEED = 42
 #: Shingles are counted in portions of so many, to bound memory for very long texts.
 PORTION = 50_000
-#: Cost of a probe row, which is shuffled and sorted, against a candidate, which is only compared.
-PROBE_COST = 20.0
+#: Cost of a probe row, which is shuffled and sorted, against a candidate, which is only compared; low, as candidates
+#: grow with the square of the data and real buckets are fuller than counts of random ones.
+PROBE_COST = 3.0
 MOST_PARTS = 8
 
 
@@ -205,11 +206,16 @@ def jaccard(one: bytes, other: bytes, width: int) -> float:
 
 
 def verified(found: DataFrame, distinct: DataFrame, docs: DataFrame, text: str, key: str, width: int, similarity: float) -> DataFrame:
-    """The links whose texts are similar enough; each fingerprint is represented by the text of its smallest id."""
-    ends = found.select("a", "b", F.explode(F.array(F.struct(F.lit(0).alias("side"), F.col("a").alias("fp")), F.struct(F.lit(1).alias("side"), F.col("b").alias("fp")))).alias("x")).select("a", "b", "x.side", "x.fp")
-    texts = docs.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("least")).agg(F.min(text).alias("text"))
-    used = distinct.join(ends.select("fp").distinct(), "fp", "left_semi").join(texts, "least").select("fp", "text")
-    both = ends.join(used, "fp").groupBy("a", "b").agg(F.min(F.when(F.col("side") == 0, F.col("text"))).alias("one"), F.min(F.when(F.col("side") == 1, F.col("text"))).alias("other"))
+    """The links that differ in at most DISTANCE bits, and of the others those whose texts are similar enough.
+
+    Each fingerprint is represented by the text of its smallest id; only texts of linked fingerprints are shuffled.
+    """
+    sure = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= DISTANCE
+    unsure = found.where(~sure)
+    ends = unsure.select(F.col("a").alias("fp")).union(unsure.select("b")).distinct()
+    texts = docs.where(F.col(key).isNotNull()).select(F.col(key).alias("least"), F.col(text).alias("text"))
+    used = distinct.join(ends, "fp", "left_semi").join(texts, "least").groupBy("fp").agg(F.min("text").alias("text"))
+    both = unsure.join(used.select(F.col("fp").alias("a"), F.col("text").alias("one")), "a").join(used.select(F.col("fp").alias("b"), F.col("text").alias("other")), "b").select("a", "b", "one", "other")
 
     def each(batch):
         keep = [jaccard((x.as_py() or "").encode(), (y.as_py() or "").encode(), width) >= similarity for x, y in zip(batch.column(2), batch.column(3), strict=True)]
@@ -217,13 +223,13 @@ def verified(found: DataFrame, distinct: DataFrame, docs: DataFrame, text: str,
             kept = batch.filter(pa.array(keep))
             yield {"a": kept.column(0), "b": kept.column(1)}
 
-    return map_batches(both, each, "a bigint, b bigint")
+    return found.where(sure).union(map_batches(both, each, "a bigint, b bigint"))
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", width: int = 3, distance: int = DISTANCE, verify: tuple[int, float] | None = None) -> DataFrame:
     """key, fp (long), component_id of every row.
 
-    verify = (words, similarity): links between different fingerprints also need that Jaccard similarity of word shingles.
+    verify = (words, similarity): links of more than DISTANCE bits also need that Jaccard similarity of word shingles.
     """
     scratch = Scratch(docs.sparkSession, "simhash")
     marked = scratch.save(fingerprints(docs, text, key, width), "marked")
