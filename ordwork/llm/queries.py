@@ -169,5 +169,23 @@ FROM dw LEFT JOIN pos ON dw.doc_id = pos.doc_id LEFT JOIN its ON dw.doc_id = its
 """
 
 
+EMBEDDING_SQL = r"""
+WITH RECURSIVE v AS (
+  SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0
+), l AS MATERIALIZED (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.vec_id <> b.vec_id AND list_cosine_similarity(a.e, b.e) >= 0.9
+), c(id, low) USING KEY (id) AS (
+  SELECT vec_id, vec_id FROM embeddings
+  UNION
+  SELECT l.b, min(c.low) FROM c JOIN l ON l.a = c.id JOIN recurring.c AS r ON r.id = l.b WHERE c.low < r.low GROUP BY l.b
+)
+SELECT c.id AS vec_id, (SELECT count(*) FROM l WHERE l.a = c.id)::BIGINT AS n_links, c.low AS component_id, c.id = c.low AS kept FROM c
+"""
+
 def oracle_sql():
-    return {"op1_line_dedup": LINE_DEDUP_SQL, "op4_decontamination": DECONTAMINATION_SQL}
+    return {
+        "op1_line_dedup": LINE_DEDUP_SQL,
+        "op3_embedding_dedup": EMBEDDING_SQL,
+        "op4_decontamination": DECONTAMINATION_SQL,
+    }

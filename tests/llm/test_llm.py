@@ -48,10 +48,10 @@ ODD = ["", None, "a", "aaaaaaa aaaa   \n\n  x<|endoftext|> y", "日本語のテ
 # --- sql oracles ---
 
 
-@pytest.mark.parametrize("name", ["op1_line_dedup", "op4_decontamination"])
+@pytest.mark.parametrize("name", ["op1_line_dedup", "op3_embedding_dedup", "op4_decontamination"])
 def test_sql(spark, sf, name):
     con = duckdb.connect()
-    for t in ("documents", "benchmark"):
+    for t in ("documents", "benchmark", "embeddings"):
         con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
     found = con.execute(queries.oracle_sql()[name])
     names = [x[0] for x in found.description]
