@@ -51,6 +51,10 @@ class Tiered:
     tree: TierTree
     tier: str | None
 
+    def ordered(self) -> list[tuple[str, Ordering]]:
+        """Tiers that have an ordering, outermost first."""
+        return [(t, self.tree.order[t]) for t in TIERS if t in self.tree.order]
+
     def extends(self, base: Ordering) -> bool:
         """Whether the classes of the root are those of base."""
         return (self.root.name, self.root.parameter) == (base.name, base.parameter)
@@ -69,6 +73,14 @@ def tiered(root: Ordering, tier: str | None, tree: TierTree | None = None) -> Ti
     return Tiered(root, TierTree(tree.hosts, tree.sockets_per_host, tree.tasks_per_socket, order), tier)
 
 
+def tiered_tree(root: Ordering, tree: TierTree) -> Tiered:
+    """root with any orderings at any tiers of the tree; outer tiers decide first."""
+    unknown = set(tree.order) - set(TIERS)
+    if unknown:
+        raise ValueError(f"no tiers: {sorted(unknown)}")
+    return Tiered(root, tree, next((t for t in TIERS if t in tree.order), None))
+
+
 def example_tree(delta=3) -> Tiered:
     """Distance bands at the root, distance order in each socket, nothing elsewhere."""
     return tiered(distance_bands(delta), "socket")

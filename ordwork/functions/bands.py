@@ -5,7 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import LongType
+from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
 
 def band_udf(delta: float):
@@ -18,13 +18,13 @@ def band_udf(delta: float):
     return band
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def mean_distance(dist: pd.Series) -> float:
     """Mean as a grouped aggregate UDF."""
     return float(dist.mean())
 
 
-@F.udtf(returnType="dst long, w long")
+@F.udtf(returnType=StructType([StructField("dst", LongType()), StructField("w", LongType())]))
 class Unpack:
     """Rows of an adjacency array."""
 
@@ -38,6 +38,3 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("unpack_edges", Unpack)
 
 
-def sssp_view(spark: SparkSession, name: str, state) -> None:
-    """Makes a finished state queryable from SQL under a name."""
-    state.createOrReplaceTempView(name)

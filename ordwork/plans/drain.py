@@ -36,7 +36,8 @@ def labels(spark: SparkSession, groups: int) -> list[int]:
 class Queue:
     """One group's work in one round."""
 
-    def __init__(self, edges: pa.Table, work: pa.Table, heap: bool, leveled: bool):
+    def __init__(self, edges: pa.Table, work: pa.Table, heap: bool, leveled: bool, sub=None):
+        """sub(dist, level): keys of the ordered tiers, outermost first; the distance order is the heap's own."""
         kind, v = work["kind"].to_numpy(), work["v"].to_numpy()
         dist = work["dist"].to_pylist()
         self.state: dict = {}
@@ -45,7 +46,8 @@ class Queue:
             if x not in self.state or d < self.state[x]:
                 self.state[x] = d
         level = work["level"].to_pylist() if leveled else [0] * len(v)
-        items = sorted((dist[k], level[k], int(v[k])) for k in np.flatnonzero(kind == ITEM).tolist())
+        self.sub = sub or (lambda dist, level: ())
+        items = sorted((self.sub(dist[k], level[k]), dist[k], level[k], int(v[k])) for k in np.flatnonzero(kind == ITEM).tolist())
         self.heap = heap
         self.items = items if heap else deque(items)  # a sorted list is a heap
         self.edges, self.starts = edges, None
@@ -66,10 +68,10 @@ class Queue:
         out, delta = [], {}
         processed = accepted = remote = longest = 0
         items, state, starts, dsts, ws = self.items, self.state, self.starts, self.dst, self.w
-        send, class_of, up = machine_rule.local, ordering.local, 1 if levels else 0
+        send, class_of, up, sub = machine_rule.local, ordering.local, 1 if levels else 0, self.sub
         while items:
             longest = max(longest, len(items))
-            d, level, v = heapq.heappop(items) if self.heap else items.popleft()
+            _, d, level, v = heapq.heappop(items) if self.heap else items.popleft()
             processed += 1
             if v in state and not d < state[v]:
                 continue
@@ -82,9 +84,9 @@ class Queue:
                 remote += not here
                 if same and here:
                     if self.heap:
-                        heapq.heappush(items, (value, above, to))
+                        heapq.heappush(items, (sub(value, above), value, above, to))
                     else:
-                        items.append((value, above, to))
+                        items.append(((), value, above, to))
                 else:
                     out.append((to, value, above, SAME if same else LATER))
         return {"out": out, "delta": delta, "processed": processed, "accepted": accepted, "remote": remote, "longest": longest}
@@ -103,6 +105,9 @@ def run(spark: SparkSession, machine: Machine, tiers: Tiered | None, limits: Lim
     leveled = "level" in machine.rule.attrs
     extra = StructType([*loop.rows.fields, StructField("accepted_here", LongType()), StructField("remote", LongType()), StructField("longest", LongType())])
     arrow, rule, ordering = to_arrow_schema(extra), machine.rule, machine.ordering
+    inner = [o for _, o in tiers.ordered()]
+    plain_distance = [o.name for o in inner] in ([], ["dijkstra"])
+    sub = None if plain_distance else (lambda dist, up: tuple(o.local(dist, up) for o in inner))
     fields = [f.name for f in extra.fields]
 
     def step(items: DataFrame, state: DataFrame, key, seen: dict) -> DataFrame:
@@ -112,7 +117,7 @@ def run(spark: SparkSession, machine: Machine, tiers: Tiered | None, limits: Lim
         rows = rows.unionByName(state.select(label(F.col("v")).alias("label"), "v", "dist", *[F.lit(0).cast("long").alias(a) for a in attrs], F.lit(STATE).alias("kind")))
 
         def each(group_key, left: pa.Table, right: pa.Table) -> pa.Table:
-            queue = Queue(left, right, heap, leveled)
+            queue = Queue(left, right, heap, leveled, sub)
             if not queue.items:
                 return arrow.empty_table()
             mine = group_named[group_key[0].as_py()]

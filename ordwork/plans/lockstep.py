@@ -32,10 +32,12 @@ def run(spark: SparkSession, machine: Machine, tiers: Tiered | None, limits: Lim
         work = seen["work"] = Observation()
         deferred = None
         if tiers is not None and tiers.tier:
-            group = tiers.tree.group_of(F.col("v"), tiers.tier)
-            marked = items.withColumn("g", group)
-            least = marked.groupBy("g").agg(F.min("dist").alias("least")).withColumnRenamed("g", "g2")  # a row a group
-            marked = marked.join(F.broadcast(least), F.col("g") == F.col("g2")).withColumn("now", F.col("dist") == F.col("least"))
+            marked = items.withColumn("now", F.lit(True))
+            for place, (tier, ordering) in enumerate(tiers.ordered()):
+                marked = marked.withColumn("g", tiers.tree.group_of(F.col("v"), tier)).withColumn("k", ordering.key(marked))
+                least = marked.where("now").groupBy("g").agg(F.min("k").alias("least")).withColumnRenamed("g", f"g{place}")  # a row a group
+                marked = marked.join(F.broadcast(least), F.col("g") == F.col(f"g{place}"), "left")
+                marked = marked.withColumn("now", F.col("now") & (F.col("k") == F.col("least"))).drop("g", "k", "least", f"g{place}")
             marked = marked.observe(work, F.sum(F.when(F.col("now"), F.col("n"))).alias("processed"), F.sum(F.when(~F.col("now"), F.col("n"))).alias("deferred"))
             # deferred items take the way of the others, so that the frame is read once; they come back as they were
             deferred = F.when(~F.col("now"), F.struct(*[F.col(c) for c in items.columns]))

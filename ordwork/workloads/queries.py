@@ -11,7 +11,7 @@ from ordwork import measure
 from ordwork.baselines import others, stabilize
 from ordwork.core.machine import RunResult, run, shortest_paths
 from ordwork.core.ordering import Relation, by_distance, chaotic, check_strict_weak, distance_bands, level_bands, then
-from ordwork.core.tiers import TierTree, Tiered, all_variants, example_tree, tiered
+from ordwork.core.tiers import TierTree, Tiered, all_variants, example_tree, tiered, tiered_tree
 from ordwork.graph.model import EdgeSet
 from ordwork.operators import answers, relational
 from ordwork.sources.graphs import GRAPHS, page_link_names, table
@@ -164,6 +164,8 @@ def queries() -> dict[str, Query]:
     out["sssp_dijkstra_handoff_one_group"] = sssp_query("handoff", chaotic(), "drain", tiered(chaotic(), "host", TierTree(1, 1, 1)))
     out["chaotic_task_lockstep_toy"] = sssp_query("toy", chaotic(), "lockstep", tiered(chaotic(), "task"))
     out["example_tree_trade"] = sssp_query("trade", distance_bands(7), "drain", example_tree(7))
+    two = tiered_tree(distance_bands(25), TierTree(order={"host": distance_bands(5), "task": by_distance()}))
+    out["two_tier_rmat1"] = sssp_query("rmat1", distance_bands(25), "drain", two)
     out["composed_order_trade"] = sssp_query("toy", then(distance_bands(3), by_distance()))
     out["selfstab_sync_trade"] = selfstab("trade", "infinite", stabilize.Synchronous())
     out["selfstab_sync_random_start_trade"] = selfstab("trade", "random", stabilize.Synchronous())
@@ -236,7 +238,7 @@ def oracle_sql() -> dict[str, str]:
 
 def queries_by_prefix() -> dict[str, str]:
     """Queries whose result is the distances of a graph, whatever the configuration."""
-    names = [n for n in queries() if n.startswith(("sssp_", "tiered_", "selfstab_", "example_tree", "dijkstra_local", "level_synchronous", "chaotic_task_lockstep", "composed_order"))]
+    names = [n for n in queries() if n.startswith(("sssp_", "tiered_", "selfstab_", "example_tree", "two_tier", "dijkstra_local", "level_synchronous", "chaotic_task_lockstep", "composed_order"))]
     out = {}
     for n in names:
         found = [g for g in sql.EDGES if g in n]

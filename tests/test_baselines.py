@@ -117,3 +117,15 @@ def test_stream_deletion(spark):
     assert state(repair.state) == TOY
     repair.delete(spark.createDataFrame([(2, 1)], "src long, dst long"))
     assert state(repair.state) == {0: 0, 1: 4, 2: 1, 3: 5, 4: 8}
+
+
+def test_sql_surface(spark):
+    from ordwork.functions import bands, sql
+
+    GRAPHS["toy"](spark).edges.createOrReplaceTempView("toy_edges")
+    sql.sssp(spark, "toy_edges", 0, "delta", 3, "toy_dist")
+    assert spark.sql("SELECT max(dist) FROM toy_dist").first()[0] == 7
+    sql.sssp(spark, "SELECT src, dst, w FROM toy_edges WHERE src <> 2", 0, "kla", 1, "toy_dist")
+    assert spark.sql("SELECT dist FROM toy_dist WHERE v = 1").first()[0] == 4
+    bands.register(spark)
+    assert spark.sql("SELECT mean_distance(dist) FROM toy_dist WHERE v < 2").first()[0] == 2.0

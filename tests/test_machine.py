@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from ordwork.core.machine import LimitReached, Limits, Machine, run, shortest_paths
 from ordwork.core.ordering import Relation, by_distance, chaotic, check_strict_weak, distance_bands, induced_less, level_bands, then
 from ordwork.core.rule import sssp_rule
-from ordwork.core.tiers import TierTree, Tiered, all_variants, tiered
+from ordwork.core.tiers import TierTree, Tiered, all_variants, tiered, tiered_tree
 from ordwork.graph.model import EdgeSet, GraphError
 from ordwork.sources.graphs import GRAPHS
 from ordwork.store import Store
@@ -101,6 +101,16 @@ def test_lockstep_suborder(spark):
     assert state(run(spark, shortest_paths(toy, 0, chaotic()), "lockstep", tiered(chaotic(), "task"))) == TOY
 
 
+def test_trees_with_several_orders(spark):
+    toy = GRAPHS["toy"](spark)
+    tree = tiered_tree(chaotic(), TierTree(order={"host": distance_bands(3), "task": by_distance()}))
+    assert tree.tier == "host" and [t for t, _ in tree.ordered()] == ["host", "task"]
+    for mode in ("lockstep", "drain"):
+        assert state(run(spark, shortest_paths(toy, 0, chaotic()), mode, tree)) == TOY
+    with pytest.raises(ValueError):
+        tiered_tree(chaotic(), TierTree(order={"rack": by_distance()}))
+
+
 def test_variants_registry():
     found = all_variants(3, 1)
     assert len(found) == 13
