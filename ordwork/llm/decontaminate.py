@@ -58,9 +58,9 @@ def item_windows(benchmark: DataFrame, text: str, key: str, width: int) -> DataF
 def report(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str = "doc_id", item_text: str = "text", item_key: str = "item_id", width: int = WINDOW) -> DataFrame:
     """One row a document: key, text_hash, n_words, n_hit, spans (start, end of merged hits), items (sorted as strings)."""
     windows = item_windows(benchmark, item_text, item_key, width)
-    facts = benchmark.agg(F.coalesce(F.sum(F.octet_length(item_text)), F.lit(0)).alias("b")).crossJoin(windows.agg(F.array_sort(F.collect_set("size")).alias("sizes"))).first()
-    sizes = facts["sizes"]  # at most `width` different ones
-    small = (lambda x: F.broadcast(x)) if facts["b"] <= BROADCAST_BYTES else (lambda x: x)
+    held = benchmark.agg(F.coalesce(F.sum(F.octet_length(item_text)), F.lit(0)).alias("b")).first()["b"]
+    sizes = windows.agg(F.array_sort(F.collect_set("size")).alias("sizes")).first()["sizes"]  # at most `width` different ones
+    small = (lambda x: F.broadcast(x)) if held <= BROADCAST_BYTES else (lambda x: x)
     half = F.expr("(size + 1) div 2").cast("int")
     parts = windows.select("size", F.explode(let(F.split("window", " "), lambda w: F.transform(F.sequence(F.lit(0), F.col("size") - half), lambda i: block_hash(w, i, half)))).alias("h")).distinct()
     parts = parts.union(docs.sparkSession.createDataFrame([(SENTINEL, SENTINEL)], "size int, h long"))
