@@ -104,16 +104,20 @@ def page_links(spark: SparkSession, sf_dir: str) -> EdgeSet:
     return EdgeSet.of(encode_vertices(page_link_names(spark, sf_dir), "page", "token"), "page", "token", None)
 
 
+KNN_BLOCK = 1000
+
+
 def knn(spark: SparkSession, sf_dir: str, k: int = 5, digits: int = 6) -> EdgeSet:
-    """Each vector's k nearest by 1 - cosine, in double precision; the queries come in blocks against all rows."""
+    """Each vector's k nearest by 1 - cosine, in double precision: blocks of about KNN_BLOCK rows against one another."""
     import numpy as np
     import pandas as pd
 
     rows = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
-    blocks = rows.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(16)))
-    other = F.broadcast(spark.range(16).withColumnRenamed("id", "to"))
-    left = blocks.crossJoin(other)
-    right = blocks.select(F.col("vec_id").alias("vec2"), F.col("e").alias("e2"), F.col("block").alias("to")).crossJoin(F.broadcast(spark.range(16).withColumnRenamed("id", "block")))
+    n = -(-rows.count() // KNN_BLOCK)
+    every = F.sequence(F.lit(0), F.lit(max(n, 1) - 1))
+    blocks = rows.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(max(n, 1))).cast("int"))
+    left = blocks.withColumn("to", F.explode(every))
+    right = blocks.select(F.col("vec_id").alias("vec2"), F.col("e").alias("e2"), F.col("block").alias("to"), F.explode(every).alias("block"))
 
     def nearest(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         if not len(a) or not len(b):
