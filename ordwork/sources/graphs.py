@@ -27,10 +27,10 @@ def rmat(spark: SparkSession, sf_dir: str, name: str) -> EdgeSet:
     cuts = [f"{round(x * 2**32):08x}" for x in (a, a + b, a + b + c)]
     key = F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
     blocks = [F.md5(F.concat(key, F.lit(f"-{k}")).cast("binary")) for k in range(-(-scale // 4))]
-    rows = rows.select("*", *[x.alias(f"md{k}") for k, x in enumerate(blocks)])
+    rows = rows.select("*", F.explode(F.array(F.concat(*blocks))).alias("md"))  # a generator, so that digests aren't inlined at each use
     src = dst = F.lit(0).cast("long")
     for i in range(scale):
-        digits = F.substring(f"md{i // 4}", 8 * (i % 4) + 1, 8)
+        digits = F.substring("md", 8 * i + 1, 8)
         src = src + F.when(digits < cuts[1], 0).otherwise(1 << i)
         dst = dst + F.when((digits < cuts[0]) | ((digits >= cuts[1]) & (digits < cuts[2])), 0).otherwise(1 << i)
     weight = 1 + (7919 * F.col("l_partkey") + 104729 * F.col("l_suppkey") + 31 * F.col("l_orderkey") + F.col("l_linenumber")) % most
