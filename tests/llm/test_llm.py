@@ -433,6 +433,47 @@ def test_components(spark):
     assert components(Scratch(spark, "test"), links.limit(0)).count() == 0
 
 
+def varied(rng, words, changes):
+    words = list(words)
+    for k in rng.choice(len(words), changes, replace=False):
+        words[k] = f"x{rng.integers(1 << 40)}"
+    return " ".join(words)
+
+
+def near_dedup_docs():
+    """Near copies of one text and of others, a passage that many share, copies, short and empty texts."""
+    rng = np.random.default_rng(11)
+    bases = [[f"w{rng.integers(400)}" for _ in range(n)] for n in (120, 150, 300, 60)]
+    texts = [varied(rng, bases[0], rng.integers(1, 7)) for _ in range(90)]
+    texts += [varied(rng, b, rng.integers(0, 5)) for b in bases[1:] for _ in range(12)]
+    texts += [" ".join(bases[3]) + f" own{k} " + varied(rng, bases[1][:20], 15) for k in range(20)]
+    texts += [None, "", " \n", "Two words", "two  WORDS", "a b c d e", "a b c d e f", texts[3].upper()]
+    return list(enumerate(texts, 1))
+
+
+def components_by_brute_force(docs):
+    from ordwork.llm.simhash import jaccard
+
+    raw = [(t or "").encode() for _, t in docs]
+    root = list(range(len(docs)))
+    for a in range(len(docs)):
+        for b in range(a):
+            if jaccard(raw[a], raw[b], 5) >= 0.8:
+                root = [root[b] if r == root[a] else r for r in root]
+    least = {r: min(docs[k][0] for k in range(len(docs)) if root[k] == r) for r in root}
+    return {i: least[root[k]] for k, (i, _) in enumerate(docs)}
+
+
+def test_near_dedup_stage_finds_all_similar(spark):
+    import corpus_pipeline
+
+    docs = near_dedup_docs()
+    want = components_by_brute_force(docs)
+    kept = {r["doc_id"] for r in corpus_pipeline.dedup_near(spark, docs_of(spark, docs), "").collect()}
+    assert kept == {i for i, c in want.items() if c == i} and 40 < len(kept) < len(docs) - 40
+    assert corpus_pipeline.dedup_near(spark, docs_of(spark, docs).limit(0), "").count() == 0
+
+
 # --- pipeline ---
 
 
