@@ -229,7 +229,8 @@ def verified(found: DataFrame, distinct: DataFrame, docs: DataFrame, text: str,
 def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", width: int = 3, distance: int = DISTANCE, verify: tuple[int, float] | None = None) -> DataFrame:
     """key, fp (long), component_id of every row.
 
-    verify = (words, similarity): links of more than DISTANCE bits also need that Jaccard similarity of word shingles.
+    verify = (words, similarity): links of more than DISTANCE bits also need that Jaccard similarity of word shingles;
+    closer ones are taken unseen, so what must be similar by text goes through near_dedup instead.
     """
     scratch = Scratch(docs.sparkSession, "simhash")
     marked = scratch.save(fingerprints(docs, text, key, width), "marked")

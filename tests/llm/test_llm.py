@@ -474,6 +474,16 @@ def test_near_dedup_stage_finds_all_similar(spark):
     assert corpus_pipeline.dedup_near(spark, docs_of(spark, docs).limit(0), "").count() == 0
 
 
+def test_near_dedup_stage_compares_texts(spark):
+    import corpus_pipeline
+
+    again = "the same long sentence comes again and again here " * 40
+    docs = [(k, again + " ".join(f"d{k}w{j}" for j in range(120))) for k in (1, 2, 3)]
+    fps = [simhash.fingerprint(t.encode(), 3) for _, t in docs]
+    assert all((a ^ b).bit_count() <= 3 for a in fps for b in fps)
+    assert {r["doc_id"] for r in corpus_pipeline.dedup_near(spark, docs_of(spark, docs), "").collect()} == {1, 2, 3}
+
+
 # --- pipeline ---
 
 
