@@ -295,6 +295,13 @@ def test_html(spark):
     assert html_extract.main_text(frame.limit(0)).count() == 0
 
 
+def test_html_mixed_layouts():
+    pages = [f"<body><article><p>in {k}</p></article></body>" if k % 2 else f"<body><div><p>plain {k}</p></div></body>" for k in range(6)]
+    wrapper = html_extract.Wrapper(html_extract.infer(pages))
+    assert wrapper.fits([s for s, _ in html_extract.tokens(pages[0])])
+    assert [html_extract.extract(p, wrapper) for p in pages] == [f"in {k}" if k % 2 else f"plain {k}" for k in range(6)]
+
+
 def test_html_given_pages(spark, sf):
     import html
 
