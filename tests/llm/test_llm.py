@@ -302,6 +302,13 @@ def test_html_mixed_layouts():
     assert [html_extract.extract(p, wrapper) for p in pages] == [f"in {k}" if k % 2 else f"plain {k}" for k in range(6)]
 
 
+def test_html_class_words():
+    alone = lambda p: html_extract.extract(p, html_extract.Wrapper(html_extract.infer([p])))
+    assert alone("<body class='home has-sidebar'><main class='search-page'><article class='post comment'><p>text</p></article></main></body>") == "text"
+    assert alone("<body><div id='content-header-wrap'><p>text</p></div><div class='site-footer'>foot</div></body>") == "text"
+    assert alone("<body><div class='widget'><p>all there is</p></div></body>") == "all there is"
+
+
 def test_html_given_pages(spark, sf):
     import html
 
