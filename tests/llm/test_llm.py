@@ -309,6 +309,11 @@ def test_html_class_words():
     assert alone("<body><div class='widget'><p>all there is</p></div></body>") == "all there is"
 
 
+def test_html_space_between_inline():
+    page = "<body><article><h1><span>A</span> <span>B</span></h1><ul><li><a>one</a> <a>two</a></li></ul><blockquote><b>x</b>\n<i>y</i>z</blockquote></article></body>"
+    assert html_extract.extract(page, html_extract.Wrapper(html_extract.infer([page]))) == "A B\none two\nx yz"
+
+
 def test_html_given_pages(spark, sf):
     import html
 
