@@ -29,8 +29,10 @@ from pyspark.sql import functions as F
 from ordwork.llm.common import kept_by_worker, map_batches, portions, text_bytes
 
 ORDER = 3
-#: Bound of the training sample: expected bytes of text for each language, taken by hash of the id.
+#: Bound of the training sample: expected bytes of text for each language, taken in chunks by hash of id and place.
 SAMPLE_BYTES = 2_000_000
+#: Chunks in a full sample, more or less.
+CHUNKS = 500
 UNDETERMINED = "und"
 #: Texts are scored in portions of so many bytes.
 PORTION = 4_000_000
@@ -38,12 +40,18 @@ LETTER = regex.compile(r"\p{L}")
 
 
 def sample(labelled: DataFrame, text: str, lang: str, key: str, most: int) -> DataFrame:
-    """(lang, text): rows of each language whose hashed key lies under the share that gives about `most` bytes."""
+    """(lang, text): of a language with at most `most` bytes all texts, of others chunks whose hash lies under the share that gives about so many.
+
+    Chunks are short against `most`, so a few very long texts are sampled as evenly as many short ones.
+    """
     rows = labelled.select(F.col(text).alias("text"), F.col(lang).alias("lang"), F.col(key).cast("string").alias("key")).where("text is not null and lang is not null")
     sizes = rows.groupBy("lang").agg(F.sum(F.octet_length("text")).alias("size"))
     share = F.lit(float(most)) / F.greatest("size", F.lit(1))
-    hashed = F.pmod(F.xxhash64("key"), F.lit(1_000_003)) / 1_000_003.0
-    return rows.join(F.broadcast(sizes.limit(10_000)), "lang").where(hashed < share).select("lang", "text")
+    chunk = max(most // CHUNKS, 1)
+    hashed = lambda at: F.pmod(F.xxhash64("key", at), F.lit(1_000_003)) / 1_000_003.0
+    starts = F.filter(F.sequence(F.lit(0), F.floor((F.greatest(F.char_length("text"), F.lit(1)) - 1) / chunk).cast("int")), lambda at: hashed(at) < share)
+    parts = F.when(share >= 1, F.array("text")).otherwise(F.transform(starts, lambda at: F.substring("text", at * chunk + 1, F.lit(chunk))))
+    return rows.join(F.broadcast(sizes.limit(10_000)), "lang").select("lang", F.explode(parts).alias("text"))
 
 
 def gram_counts(rows: DataFrame) -> DataFrame:

@@ -503,6 +503,13 @@ def test_near_dedup_stage_compares_texts(spark):
     assert {r["doc_id"] for r in corpus_pipeline.dedup_near(spark, docs_of(spark, docs), "").collect()} == {1, 2, 3}
 
 
+def test_language_sample_of_few_long_texts(spark):
+    rows = [(k, f"text {lang} " * 20_000, lang) for k, lang in enumerate(["aa", "bb", "cc", "dd"])] + [(9, "short", "ee")]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    got = {r["lang"]: r["n"] for r in language_id.sample(frame, "text", "lang", "doc_id", 20_000).groupBy("lang").agg(F.sum(F.octet_length("text")).alias("n")).collect()}
+    assert got.pop("ee") == 5 and set(got) == {"aa", "bb", "cc", "dd"} and all(14_000 < n < 26_000 for n in got.values())
+
+
 # --- pipeline ---
 
 
