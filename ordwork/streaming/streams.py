@@ -1,4 +1,7 @@
-"""Streams of edges: repair of distances as edges arrive, windowed graphs, sessions, and a hop-per-trigger stateful operator."""
+"""Streams of edges and events: repair of distances as edges arrive, event counts by day, sessions, and a stateful running minimum by key.
+
+There is no run of the machine by window and no relaxation of a hop by trigger.
+"""
 
 from __future__ import annotations
 
