@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 from dataclasses import dataclass, field
-from fractions import Fraction
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,7 +13,7 @@ from pyspark.sql.types import LongType
 
 @dataclass(frozen=True)
 class Ordering:
-    """key is a column over the item's columns; local is the same on Python values (dist, level); attrs: columns it needs."""
+    """key is a column over the names of the item's columns (the frame only tells their types); local is the same on Python values (dist, level); attrs: columns it needs."""
 
     name: str
     key: Callable[[DataFrame], Column]
@@ -36,7 +36,7 @@ def chaotic() -> Ordering:
 
 def by_distance() -> Ordering:
     """Least distance first."""
-    return Ordering("dijkstra", lambda items: items["dist"], lambda dist, level: dist)
+    return Ordering("dijkstra", lambda items: F.col("dist"), lambda dist, level: dist)
 
 
 def distance_bands(delta) -> Ordering:
@@ -48,10 +48,10 @@ def distance_bands(delta) -> Ordering:
     def key(items: DataFrame) -> Column:
         if whole and isinstance(items.schema["dist"].dataType, LongType):
             return F.expr(f"dist div {int(delta)}L")
-        return F.floor(items["dist"].cast("double") / F.lit(float(delta)))
+        return F.floor(F.col("dist").cast("double") / F.lit(float(delta)))
 
-    def local(dist, level):
-        return dist // int(delta) if whole and isinstance(dist, int) else int(Fraction(float(dist)) // Fraction(float(delta))) if not whole else int(float(dist) // float(delta))
+    def local(dist, level):  # the same division of doubles as in the key
+        return dist // int(delta) if whole and isinstance(dist, int) else math.floor(float(dist) / float(delta))
 
     return Ordering("delta", key, local, parameter=f"{delta:g}" if isinstance(delta, float) else str(delta))
 
@@ -92,8 +92,10 @@ def less(ordering: Ordering | Relation, a: str, b: str, items: DataFrame) -> Col
 AXIOMS = ("irreflexive", "asymmetric", "transitive", "incomparability_transitive")
 
 
-def check_strict_weak(spark: SparkSession, ordering: Ordering | Relation, items: DataFrame) -> DataFrame:
-    """(axiom, violations) over all triples of a small set of items; the joins are cubic, so this is for samples."""
+def check_strict_weak(spark: SparkSession, ordering: Ordering | Relation, items: DataFrame, most: int = 500) -> DataFrame:
+    """(axiom, violations) over all triples of a small set of items; cubic, so more than `most` items are refused."""
+    if items.limit(most + 1).count() > most:
+        raise ValueError(f"the check looks at all triples; give it at most {most} items")
     rows = ordering.with_class(items) if isinstance(ordering, Ordering) else items
     packed = F.struct(*rows.columns)
     of = lambda name: rows.select(packed.alias(name))

@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -25,20 +26,39 @@ class ItemSchema:
         return StructType([StructField("v", LongType()), StructField("dist", self.value), *[StructField(a, LongType()) for a in self.attrs], StructField("n", LongType())])
 
 
+def lower(value, state) -> bool:
+    """improves on Python values; None is infinitely far."""
+    return state is None or value < state
+
+
 @dataclass(frozen=True)
 class Statement:
-    """condition(value, state): whether an item acts; the update then sets the state to the value (its only side
-    effect, a minimum, so the order of arrival doesn't matter); construct gives the value and attributes of the item sent along an edge."""
+    """condition(value, state): whether an item may act. If `updates`, the update sets the state to the value (its only side
+    effect, a minimum, so the order of arrival doesn't matter) and succeeds where that lowers the state; without it the state stays and
+    the update always succeeds. Only where both hold does construct give the value of the item sent along each edge.
+
+    A condition must be one that holds for every smaller value too, as rounds may look at the least value of a vertex alone.
+    holds and local are condition and construct on Python values.
+    """
 
     condition: Callable[[Column, Column], Column]
     construct: Callable[[Column, Column], Column]
     local: Callable[[object, object], object]
     levels: bool = False
+    updates: bool = True
+    holds: Callable[[object, object], bool] = lower
+
+    def fires(self, value: Column, state: Column) -> Column:
+        allowed = F.coalesce(self.condition(value, state), F.lit(False))
+        return allowed & improves(value, state) if self.updates and self.condition is not improves else allowed
+
+    def fires_local(self, value, state) -> bool:
+        return self.holds(value, state) and (not self.updates or lower(value, state))
 
 
 @dataclass(frozen=True)
 class Rule:
-    """Union of statements. All shipped rules have one: act if better than the state."""
+    """Union of statements, each judged against the state that the item found. Most shipped rules have one: act if better than the state."""
 
     name: str
     statements: tuple[Statement, ...]
@@ -52,17 +72,19 @@ class Rule:
         return ("level",) if any(s.levels for s in self.statements) else ()
 
     def acts(self, value: Column, state: Column) -> Column:
-        out = F.lit(False)
-        for s in self.statements:
-            out = out | s.condition(value, state)
-        return out
+        """Whether any statement fires."""
+        return reduce(lambda a, b: a | b, (s.fires(value, state) for s in self.statements))
 
-    def emitted(self, value: Column, level: Column, edge: Column) -> list[Column]:
-        """For each statement a struct (v, dist, level) for the item sent along an edge (dst, w)."""
-        return [F.struct(edge["dst"].alias("v"), s.construct(value, edge["w"]).alias("dist"), ((level + 1) if s.levels else level).alias("level")) for s in self.statements]
+    def sets(self, value: Column, state: Column) -> Column:
+        """Whether the state takes the value."""
+        return reduce(lambda a, b: a | b, (s.fires(value, state) for s in self.statements if s.updates), F.lit(False))
 
-    def local(self, value, weight):
-        return self.statements[0].local(value, weight)
+    def emitted(self, value: Column, state: Column, level: Column, edge: Column) -> Column:
+        """Array of structs (v, dist, level): what the statements that fire send along an edge (dst, w)."""
+        made = [F.struct(edge["dst"].alias("v"), s.construct(value, edge["w"]).alias("dst_value"), ((level + 1) if s.levels else level).alias("level")) for s in self.statements]
+        if len(made) == 1:  # the caller keeps items that fire
+            return F.array(*made)
+        return F.filter(F.array(*[F.when(s.fires(value, state), x) for s, x in zip(self.statements, made, strict=True)]), lambda x: x.isNotNull())
 
 
 def improves(value: Column, state: Column) -> Column:
@@ -89,4 +111,4 @@ def component_rule() -> Rule:
     return Rule.single("components", improves, lambda d, w: d, lambda d, w: d)
 
 
-__all__ = ["ItemSchema", "Rule", "Statement", "bfs_rule", "component_rule", "improves", "leveled_sssp_rule", "sssp_rule"]
+__all__ = ["ItemSchema", "Rule", "Statement", "bfs_rule", "component_rule", "improves", "lower", "leveled_sssp_rule", "sssp_rule"]

@@ -69,12 +69,20 @@ class EdgeSet:
         """Items joined with the edges that leave their vertex."""
         return items.join(self.edges, items.v == self.edges.src)
 
-    def adjacency(self, chunk: int = CHUNK) -> DataFrame:
-        """(v, part, nbrs): out-edges as arrays of (dst, w), hubs over several rows."""
-        dealt = self.edges.select("*", F.pmod(F.xxhash64("dst"), F.lit(1 << 20)).alias("h"))
+    def dealt(self, chunk: int = CHUNK) -> DataFrame:
+        """(v, part, parts, dst, w): edges with the row of `adjacency` that they go to; hubs have several."""
         sizes = self.edges.groupBy("src").count().where(F.col("count") > chunk).select(F.col("src").alias("hub"), F.ceil(F.col("count") / (chunk / 2)).cast("int").alias("parts"))
-        rows = dealt.join(sizes, F.col("src") == F.col("hub"), "left").withColumn("part", F.coalesce(F.col("h") % F.col("parts"), F.lit(0)).cast("int"))
-        return rows.groupBy(F.col("src").alias("v"), "part").agg(F.collect_list(F.struct("dst", "w")).alias("nbrs"))
+        rows = self.edges.join(sizes, F.col("src") == F.col("hub"), "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+        part = F.when(F.col("parts") > 1, F.pmod(F.xxhash64("dst"), F.col("parts").cast("long"))).otherwise(0)
+        return rows.select(F.col("src").alias("v"), part.cast("int").alias("part"), "parts", "dst", "w")
+
+    def adjacency(self, chunk: int = CHUNK) -> DataFrame:
+        """(v, part, parts, nbrs): out-edges as arrays of (dst, w), hubs over several rows."""
+        return gathered(self.dealt(chunk))
+
+
+def gathered(dealt: DataFrame, *extra: str) -> DataFrame:
+    return dealt.groupBy(*extra, "v", "part", "parts").agg(F.collect_list(F.struct("dst", "w")).alias("nbrs"))
 
 
 def encode_vertices(frame: DataFrame, *columns: str) -> DataFrame:

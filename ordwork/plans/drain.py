@@ -4,7 +4,10 @@ Vertices are placed on groups (tasks, sockets or hosts, see core.tiers); a group
 a heap ordered by (distance, level, vertex), or a first-in-first-out queue without a sub-order, is drained of all items of the running class,
 including those that it sends itself. The function depends on its inputs alone, so a task that is run again gives the same rows.
 
-Group labels are chosen so that hash partitioning gives each group a partition of its own.
+Group labels are chosen so that hash partitioning gives each group a partition of its own. Edges are kept in that partitioning, so a round
+shuffles items and state only, and groups without items get no edges. Under the distance order, or without a sub-order, items
+that can't act any more are counted but not queued, and what a group sends to one vertex in one class travels as its least
+item and a count: neither changes what is processed, accepted or sent.
 """
 
 from __future__ import annotations
@@ -20,12 +23,11 @@ from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import LongType, StructField, StructType
 
 from ordwork.core.machine import Limits, Machine, RunResult
+from ordwork.core.rule import lower
 from ordwork.core.tiers import Tiered, tiered
+from ordwork.graph.model import gathered
 from ordwork.plans.loop import ACCEPTED, LATER, METRIC, SAME, Loop
 
-ITEM, STATE = 1, 0
-
-
 def labels(spark: SparkSession, groups: int) -> list[int]:
     """For each group the smallest whole number that hashes to its partition."""
     rows = spark.range(64 * groups + 64).groupBy(F.pmod(F.hash(F.col("id").cast("int")), F.lit(groups)).alias("p")).agg(F.min("id").alias("label")).collect()
@@ -36,59 +38,94 @@ def labels(spark: SparkSession, groups: int) -> list[int]:
 class Queue:
     """One group's work in one round."""
 
-    def __init__(self, edges: pa.Table, work: pa.Table, heap: bool, leveled: bool, sub=None):
-        """sub(dist, level): keys of the ordered tiers, outermost first; the distance order is the heap's own."""
-        kind, v = work["kind"].to_numpy(), work["v"].to_numpy()
-        dist = work["dist"].to_pylist()
-        self.state: dict = {}
-        for k in np.flatnonzero(kind == STATE).tolist():
-            x, d = int(v[k]), dist[k]
-            if x not in self.state or d < self.state[x]:
-                self.state[x] = d
+    def __init__(self, edges: pa.Table, work: pa.Table, heap: bool, leveled: bool, folds: bool, sub=None):
+        """sub(dist, level): keys of the ordered tiers, outermost first; the distance order is the heap's own. folds: whether items that can't act may be counted only."""
+        v, n, dist = work["v"].to_pylist(), work["n"].to_pylist(), work["dist"].to_pylist()
         level = work["level"].to_pylist() if leveled else [0] * len(v)
-        self.sub = sub or (lambda dist, level: ())
-        items = sorted((self.sub(dist[k], level[k]), dist[k], level[k], int(v[k])) for k in np.flatnonzero(kind == ITEM).tolist())
-        self.heap = heap
+        self.state: dict = {}
+        self.sub, self.heap, self.folds = sub or (lambda dist, level: ()), heap, folds
+        best: dict = {}
+        items = []
+        self.counted = 0
+        for x, k, d, up in zip(v, n, dist, level, strict=True):
+            if not k:
+                if x not in self.state or d < self.state[x]:
+                    self.state[x] = d
+            elif folds:
+                self.counted += k
+                if x not in best or (d, up) < best[x]:
+                    best[x] = (d, up)
+            else:
+                items += [(self.sub(d, up), d, up, x)] * k
+        if folds:
+            items = [((), d, up, x) for x, (d, up) in best.items() if x not in self.state or d < self.state[x]]
+            self.counted -= len(items)
+        items.sort()
         self.items = items if heap else deque(items)  # a sorted list is a heap
-        self.edges, self.starts = edges, None
-
-    def prepare(self) -> None:
-        src, dst = self.edges["src"].to_numpy(), self.edges["dst"].to_numpy()
-        order = np.lexsort((dst, src))
-        src = src[order]
-        at = np.flatnonzero(np.concatenate(([True], src[1:] != src[:-1]))) if len(src) else np.zeros(0, int)
-        ends = np.append(at[1:], len(src)) if len(src) else at
-        self.starts = dict(zip(src[at].tolist(), zip(at.tolist(), ends.tolist(), strict=True), strict=True))
-        self.dst = dst[order].tolist()
-        w = self.edges["w"].to_pylist()
-        self.w = [w[k] for k in order.tolist()]
-
-    def drain(self, machine_rule, ordering, key, levels: bool, mine: int, group_of) -> dict:
-        self.prepare()
-        out, delta = [], {}
-        processed = accepted = remote = longest = 0
-        items, state, starts, dsts, ws = self.items, self.state, self.starts, self.dst, self.w
-        send, class_of, up, sub = machine_rule.local, ordering.local, 1 if levels else 0, self.sub
+        self.any = bool(items) or self.counted > 0
+        self.edges = edges
+
+    def prepare(self, mine: int, group_of) -> None:
+        lists = self.edges["nbrs"].combine_chunks()
+        offsets = lists.offsets.to_numpy() - lists.offsets[0].as_py() if len(lists) else np.zeros(1, int)
+        flat = lists.flatten()
+        dst, w = flat.field("dst"), flat.field("w")
+        self.dst = dst.to_numpy(zero_copy_only=False)
+        self.w = w if pa.types.is_decimal(w.type) else w.to_numpy(zero_copy_only=False)
+        self.here = group_of(self.dst) == mine
+        self.starts: dict = {}
+        for x, a, b in zip(self.edges["v"].to_pylist(), offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
+            self.starts.setdefault(x, []).append((a, b))
+
+    def drain(self, statements, class_of, by_edge: bool, key, mine: int, group_of) -> dict:
+        """by_edge: whether the class of an item depends on more than its level."""
+        self.prepare(mine, group_of)
+        sent, delta = {}, {}
+        processed, accepted, remote, longest = self.counted, 0, 0, 0
+        items, state, starts, sub, heap, folds = self.items, self.state, self.starts, self.sub, self.heap, self.folds
+        loose = []
         while items:
             longest = max(longest, len(items))
-            _, d, level, v = heapq.heappop(items) if self.heap else items.popleft()
+            _, d, level, v = heapq.heappop(items) if heap else items.popleft()
             processed += 1
-            if v in state and not d < state[v]:
+            old = state.get(v)
+            firing = [s for s in statements if s.fires_local(d, old)]
+            if not firing:
                 continue
-            state[v] = delta[v] = d
-            accepted += 1
-            a, b = starts.get(v, (0, 0))
-            for k in range(a, b):
-                to, value, above = dsts[k], send(d, ws[k]), level + up
-                same, here = class_of(value, above) == key, group_of(to) == mine
-                remote += not here
-                if same and here:
-                    if self.heap:
-                        heapq.heappush(items, (sub(value, above), value, above, to))
-                    else:
-                        items.append(((), value, above, to))
-                else:
-                    out.append((to, value, above, SAME if same else LATER))
+            if any(s.updates for s in firing):
+                state[v] = delta[v] = d
+                accepted += 1
+            for s in firing:
+                above, send = level + 1 if s.levels else level, s.local
+                fixed = None if by_edge else class_of(d, above) == key
+                for a, b in starts.get(v, ()):
+                    weights = self.w[a:b].to_pylist() if isinstance(self.w, pa.Array) else self.w[a:b].tolist()
+                    for to, w, here in zip(self.dst[a:b].tolist(), weights, self.here[a:b].tolist(), strict=True):
+                        value = send(d, w)
+                        cls = class_of(value, above) if by_edge else None
+                        same = cls == key if by_edge else fixed
+                        if not here:
+                            remote += 1
+                        elif same:
+                            if folds and to in state and not value < state[to]:
+                                processed += 1  # it can't act when its turn comes
+                            elif heap:
+                                heapq.heappush(items, (sub(value, above), value, above, to))
+                            else:
+                                items.append(((), value, above, to))
+                            continue
+                        if not folds:
+                            loose.append((to, value, above, 1, SAME if same else LATER))
+                            continue
+                        place = (to, cls if by_edge else same)
+                        found = sent.get(place)
+                        if found is None:
+                            sent[place] = [value, above, 1, SAME if same else LATER]
+                        else:
+                            found[2] += 1
+                            if (value, above) < (found[0], found[1]):
+                                found[0], found[1] = value, above
+        out = loose + [(to, *rest) for (to, _), rest in sent.items()]
         return {"out": out, "delta": delta, "processed": processed, "accepted": accepted, "remote": remote, "longest": longest}
 
 
@@ -101,7 +138,8 @@ def run(spark: SparkSession, machine: Machine, tiers: Tiered | None, limits: Lim
     lookup = F.array(*[F.lit(x).cast("int") for x in names])
     label = lambda v: F.element_at(lookup, (tree.group_of(v, tier) + 1).cast("int"))
     group_named = {x: k for k, x in enumerate(names)}
-    edges = loop.store.save(machine.graph.edges.select(label(F.col("src")).alias("label"), "src", "dst", "w").repartition(groups, "label").sortWithinPartitions("src", "dst"), "edges")
+    dealt = machine.graph.dealt().withColumn("label", label(F.col("v"))).repartition(groups, "label")
+    edges = loop.keep(gathered(dealt, "label"), "label")
     leveled = "level" in machine.rule.attrs
     extra = StructType([*loop.rows.fields, StructField("accepted_here", LongType()), StructField("remote", LongType()), StructField("longest", LongType())])
     arrow, rule, ordering = to_arrow_schema(extra), machine.rule, machine.ordering
@@ -110,32 +148,44 @@ def run(spark: SparkSession, machine: Machine, tiers: Tiered | None, limits: Lim
     sub = None if plain_distance else (lambda dist, up: tuple(o.local(dist, up) for o in inner))
     fields = [f.name for f in extra.fields]
 
-    def step(items: DataFrame, state: DataFrame, key, seen: dict) -> DataFrame:
+    statements, class_of = rule.statements, ordering.local
+    folds = plain_distance and all(s.updates and s.holds is lower for s in statements)
+    by_edge = ordering.name not in ("chaotic", "kla")
+    attrs = ["level"] if leveled else []
+    of_item = [label(F.col("v")).alias("label"), "v", "dist", *attrs, "n"]
+    of_state = [label(F.col("v")).alias("label"), "v", "dist", *[F.lit(0).cast("long").alias(a) for a in attrs], F.lit(0).cast("long").alias("n")]
+    counts = [F.sum(F.when(F.col("kind") == METRIC, F.col("v"))).alias("processed"), F.sum("accepted_here").alias("accepted_all"), F.sum("remote").alias("remote"), F.max("longest").alias("longest")]
+    counts.append(F.collect_set(F.when(F.col("kind") == SAME, label(F.col("v")))).alias("groups"))  # a number a group
+    kept_columns = [f.name for f in loop.rows.fields]
+    busy: list[list[int] | None] = [None]
+
+    def step(items: DataFrame, key, seen: dict) -> DataFrame:
         plain = tuple(key) if isinstance(key, tuple) else key
-        attrs = ["level"] if leveled else []
-        rows = items.select(label(F.col("v")).alias("label"), "v", "dist", *attrs, F.explode(F.array_repeat(F.lit(ITEM), F.col("n").cast("int"))).alias("kind"))
-        rows = rows.unionByName(state.select(label(F.col("v")).alias("label"), "v", "dist", *[F.lit(0).cast("long").alias(a) for a in attrs], F.lit(STATE).alias("kind")))
+        rows = items.select(*of_item)
+        if loop.state_paths:
+            rows = rows.union(loop.state().select(*of_state))
 
         def each(group_key, left: pa.Table, right: pa.Table) -> pa.Table:
-            queue = Queue(left, right, heap, leveled, sub)
-            if not queue.items:
+            queue = Queue(left, right, heap, leveled, folds, sub)
+            if not queue.any:
                 return arrow.empty_table()
             mine = group_named[group_key[0].as_py()]
-            got = queue.drain(rule, ordering, plain, leveled, mine, lambda v: tree.local_group(v, tier))
+            got = queue.drain(statements, class_of, by_edge, plain, mine, lambda v: tree.local_group(v, tier))
             lines = [(v, d, 0, 1, ACCEPTED, 0, 0, 0) for v, d in got["delta"].items()]
-            lines += [(v, d, up, 1, kind, 0, 0, 0) for v, d, up, kind in got["out"]]
+            lines += [(v, d, up, n, kind, 0, 0, 0) for v, d, up, n, kind in got["out"]]
             columns = dict(zip(("v", "dist", "level", "n", "kind", "accepted_here", "remote", "longest"), map(list, zip(*lines, strict=True)) if lines else [[] for _ in range(8)], strict=True))
             for c, x in (("v", got["processed"]), ("dist", None), ("level", 0), ("n", 0), ("kind", METRIC), ("accepted_here", got["accepted"]), ("remote", got["remote"]), ("longest", got["longest"])):
                 columns[c].append(x)
             return pa.table([pa.array(columns[c], arrow.field(c).type) for c in fields], schema=arrow)
 
         seen["work"] = Observation()
-        out = edges.groupBy("label").cogroup(rows.groupBy("label")).applyInArrow(each, extra)
-        out = out.observe(seen["work"], F.sum(F.when(F.col("kind") == METRIC, F.col("v"))).alias("processed"), F.sum("accepted_here").alias("accepted_all"), F.sum("remote").alias("remote"), F.max("longest").alias("longest"))
-        return out.select(*[f.name for f in loop.rows.fields])
+        mine = edges if busy[0] is None else edges.where(F.col("label").isin(busy[0]))
+        out = mine.groupBy("label").cogroup(rows.groupBy("label")).applyInArrow(each, extra)
+        return out.observe(seen["work"], *counts).select(*kept_columns)
 
     def finish(got: dict, seen: dict) -> dict:
         done = dict(seen["work"].get)
+        busy[0] = list(done["groups"] or []) or None
         return {"processed": done["processed"] or 0, "accepted": done["accepted_all"] or 0, "remote": done["remote"] or 0, "max_queue": done["longest"] or 0}
 
     loop.finish = finish

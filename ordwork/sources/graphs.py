@@ -15,6 +15,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(rows: DataFrame, by: Column) -> DataFrame:
+    """rows over all cores where the scan has fewer partitions than that (a small table in one file); larger tables stay as they are."""
+    cores = rows.sparkSession.sparkContext.defaultParallelism
+    return rows.repartition(cores, by) if rows.rdd.getNumPartitions() < cores else rows
+
+
 #: Quadrant shares of the recursive-matrix generator (upper left, upper right, lower left) and largest weight: fixed values.
 RMAT = {"rmat1": ((0.57, 0.19, 0.19), 100), "rmat2": ((0.50, 0.10, 0.10), 255)}
 
@@ -27,12 +33,15 @@ def rmat(spark: SparkSession, sf_dir: str, name: str) -> EdgeSet:
     cuts = [f"{round(x * 2**32):08x}" for x in (a, a + b, a + b + c)]
     key = F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
     blocks = [F.md5(F.concat(key, F.lit(f"-{k}")).cast("binary")) for k in range(-(-scale // 4))]
-    rows = rows.select("*", F.explode(F.array(F.concat(*blocks))).alias("md"))  # a generator, so that digests aren't inlined at each use
-    src = dst = F.lit(0).cast("long")
-    for i in range(scale):
-        digits = F.substring("md", 8 * i + 1, 8)
-        src = src + F.when(digits < cuts[1], 0).otherwise(1 << i)
-        dst = dst + F.when((digits < cuts[0]) | ((digits >= cuts[1]) & (digits < cuts[2])), 0).otherwise(1 << i)
+    rows = spread(rows, F.xxhash64("l_orderkey", "l_linenumber")).withColumn("md", F.concat(*blocks))
+    levels, digits = F.sequence(F.lit(0), F.lit(scale - 1)), lambda md, i: md.substr(8 * i + 1, F.lit(8))
+    # a fold over the levels: written out, the expression is a method too long for the JIT compiler
+    bits = F.transform(levels, lambda i: digits(F.col("md"), i))
+    bit = lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i)
+    rows = rows.select("*", F.explode(F.array(bits)).alias("x"))  # a generator, so that the digests aren't inlined at both uses
+    added = lambda zero: F.aggregate(levels, F.lit(0).cast("long"), lambda acc, i: acc + F.when(zero(F.col("x")[i]), 0).otherwise(bit(i)))
+    src = added(lambda x: x < cuts[1])
+    dst = added(lambda x: (x < cuts[0]) | ((x >= cuts[1]) & (x < cuts[2])))
     weight = 1 + (7919 * F.col("l_partkey") + 104729 * F.col("l_suppkey") + 31 * F.col("l_orderkey") + F.col("l_linenumber")) % most
     return EdgeSet.of(rows.select(src.alias("src"), dst.alias("dst"), weight.alias("w"))).collapse()
 

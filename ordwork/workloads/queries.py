@@ -47,6 +47,38 @@ def measures_query(graph: str, ordering, columns: str, mode: str = "lockstep", t
     return query
 
 
+#: Orderings of the recorded work counts.
+ROOTS = {"delta7": lambda: distance_bands(7), "kla1": lambda: level_bands(1), "kla3": lambda: level_bands(3), "chaotic": chaotic}
+COUNTS = ["classes", "rounds", "processed", "accepted"]
+
+
+def tier_work_query(graph: str, root: str) -> Query:
+    """Work of the three local orders under a root order: a row a tier."""
+
+    def query(spark, d):
+        edges, rows = stored(spark, d, graph), []
+        for tier in ("task", "socket", "host"):
+            ordering = ROOTS[root]()
+            m = run(spark, shortest_paths(edges, 0, ordering), "drain", tiered(ordering, tier)).measures.row()
+            rows.append((tier, *[int(m[c]) for c in [*COUNTS, "remote"]]))
+        return spark.createDataFrame(rows, "tier string, " + ", ".join(f"{c} long" for c in [*COUNTS, "remote"]))
+
+    return query
+
+
+def root_work_query(graph: str) -> Query:
+    """Work of the root orders in lock-step: a row an order."""
+
+    def query(spark, d):
+        edges, rows = stored(spark, d, graph), []
+        for name, ordering in (("delta3", distance_bands(3)), ("delta7", distance_bands(7)), ("delta25", distance_bands(25)), ("kla1", level_bands(1)), ("kla2", level_bands(2)), ("chaotic", chaotic())):
+            m = run(spark, shortest_paths(edges, 0, ordering)).measures.row()
+            rows.append((name, *[int(m[c]) for c in COUNTS]))
+        return spark.createDataFrame(rows, "root string, " + ", ".join(f"{c} long" for c in COUNTS))
+
+    return query
+
+
 def profile_query(graph: str, ordering) -> Query:
     def query(spark, d):
         rows = measure.class_profile(spark, solve(spark, d, graph, ordering))
@@ -117,7 +149,7 @@ def parents_trade(spark: SparkSession, sf_dir: str) -> DataFrame:
 def knn_paths(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Distances over DOUBLE weights; they are rounded, as sums depend on the path."""
     state = run(spark, shortest_paths(stored(spark, sf_dir, "knn"), 0, level_bands(1))).state
-    return state.select("v", F.round("dist", 5).alias("dist"))
+    return state.select("v", F.round("dist", 6).alias("dist"))
 
 
 def trade_state(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, EdgeSet]:
@@ -166,7 +198,16 @@ def queries() -> dict[str, Query]:
     out["example_tree_trade"] = sssp_query("trade", distance_bands(7), "drain", example_tree(7))
     two = tiered_tree(distance_bands(25), TierTree(order={"host": distance_bands(5), "task": by_distance()}))
     out["two_tier_rmat1"] = sssp_query("rmat1", distance_bands(25), "drain", two)
-    out["composed_order_trade"] = sssp_query("toy", then(distance_bands(3), by_distance()))
+    out["composed_order_trade"] = sssp_query("trade", then(distance_bands(3), by_distance()))
+    out["chaotic_task_lockstep_trade"] = sssp_query("trade", chaotic(), "lockstep", tiered(chaotic(), "task"))
+    out["sssp_kla10_lattice"] = sssp_query("lattice", level_bands(10))
+    out["tiered_chaotic_task_lattice"] = sssp_query("lattice", chaotic(), "drain", tiered(chaotic(), "task"))
+    out["tiered_delta_task_copurchase"] = sssp_query("copurchase", distance_bands(25), "drain", tiered(distance_bands(25), "task"))
+    out["selfstab_central_nation_ring"] = selfstab("nation_ring", "random", stabilize.Central())
+    for g in ("rmat1", "trade"):
+        out[f"root_work_{g}"] = root_work_query(g)
+        for r in ROOTS:
+            out[f"tier_work_{r}_{g}"] = tier_work_query(g, r)
     out["selfstab_sync_trade"] = selfstab("trade", "infinite", stabilize.Synchronous())
     out["selfstab_sync_random_start_trade"] = selfstab("trade", "random", stabilize.Synchronous())
     out["selfstab_distributed_trade"] = selfstab("trade", "infinite", stabilize.Distributed(0.5, 1))
@@ -221,6 +262,9 @@ def oracle_sql() -> dict[str, str]:
       (SELECT 1 + count(*) FROM d JOIN e ON e.src = d.v)::BIGINT AS processed, (SELECT count(*) FROM d)::BIGINT AS accepted"""
     out["class_profile_dijkstra_trade"] = f"{state} SELECT x AS class_key, count(*) AS items FROM (SELECT 0::BIGINT AS x UNION ALL SELECT d.dist + e.w FROM d JOIN e ON e.src = d.v) GROUP BY 1"
     out["kla1_measures_copurchase"] = kla1_sql("copurchase")
+    out |= sql.recorded_work()
+    out["drain_measures_rmat1"] = "SELECT classes, rounds, processed, accepted, remote FROM ({}) WHERE tier = 'host'".format(out["tier_work_chaotic_rmat1"])
+    out["sssp_kla1_knn"] = sql.knn_distances()
     out["fixpoint_violations_rmat1"] = f"""{sql.distances('rmat1')} SELECT count(*) AS violations FROM d JOIN e ON e.src = d.v LEFT JOIN d t ON t.v = e.dst WHERE t.v IS NULL OR d.dist + e.w < t.dist"""
     out["order_axioms"] = """SELECT o AS ordering, a AS axiom, o = 'gap' AND a = 'incomparability_transitive' AS violated
       FROM (SELECT unnest(['chaotic', 'dijkstra', 'delta', 'kla', 'delta+dijkstra', 'gap']) AS o), (SELECT unnest(['irreflexive', 'asymmetric', 'transitive', 'incomparability_transitive']) AS a)"""
@@ -242,9 +286,7 @@ def queries_by_prefix() -> dict[str, str]:
     out = {}
     for n in names:
         found = [g for g in sql.EDGES if g in n]
-        if n == "composed_order_trade":
-            out[n] = "toy"
-        elif n != "sssp_kla1_knn" and found:
+        if n != "sssp_kla1_knn" and found:
             out[n] = max(found, key=len)
     return out
 

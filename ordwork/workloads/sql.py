@@ -70,3 +70,43 @@ def components(graph: str) -> str:
   UNION
   SELECT e.dst, min(d.label) FROM d JOIN e ON e.src = d.v JOIN recurring.d AS r ON r.v = e.dst WHERE d.label < r.label GROUP BY e.dst)
   SELECT v, label FROM d"""
+
+
+def knn_distances(source: int = 0) -> str:
+    """Distances over the nearest-neighbour graph's DOUBLE weights, rounded as sums depend on the path."""
+    return f"""WITH RECURSIVE e AS MATERIALIZED ({KNN}), d(v, dist) USING KEY (v) AS (
+  SELECT {source}::BIGINT, 0::DOUBLE
+  UNION
+  SELECT e.dst, min(d.dist + e.w)::DOUBLE FROM d JOIN e ON e.src = d.v LEFT JOIN recurring.d AS r ON r.v = e.dst
+  WHERE r.v IS NULL OR d.dist + e.w < r.dist GROUP BY e.dst) SELECT v, round(dist, 6) AS dist FROM d"""
+
+
+#: Work counts at sf0.01 recorded by a sequential model outside this engine (FIXTURES.md §4).
+#: Drain plan, for task, socket and host: classes, rounds, processed, accepted, remote.
+TIER_WORK = {
+    "delta7_rmat1": "34,57,52575,2941,46064 34,55,50942,2921,38270 34,54,49799,2904,24919",
+    "kla1_rmat1": "9,9,101240,6145,88825 9,9,101240,6145,76114 9,9,101240,6145,50714",
+    "kla3_rmat1": "3,9,91820,5596,80557 3,9,87220,5331,65537 3,9,78283,4743,38965",
+    "chaotic_rmat1": "1,9,83798,5375,73482 1,9,73890,4793,55477 1,7,60517,3806,29946",
+    "delta7_trade": "10,17,104369,1665,91180 10,17,103316,1652,77225 10,16,101958,1635,50934",
+    "kla1_trade": "8,8,183719,3306,160450 8,8,183719,3306,137322 8,8,183719,3306,91750",
+    "kla3_trade": "3,8,237402,4932,207245 3,8,230844,4809,172671 3,8,207443,4192,103733",
+    "chaotic_trade": "1,7,230457,4168,201421 1,7,179016,3237,133959 1,5,127691,2225,63631",
+}
+#: Lock-step, for delta3, delta7, delta25, kla1, kla2 and chaotic: classes, rounds, processed, accepted.
+ROOT_WORK = {
+    "trade": "23,30,99436,1632 10,18,100174,1624 3,10,160967,2876 8,8,183719,3306 4,8,183719,3306 1,8,183719,3306",
+    "rmat1": "76,101,48761,2884 34,59,53402,2946 11,24,79777,3971 9,9,101240,6145 5,9,101240,6145 1,9,101240,6145",
+}
+
+
+def recorded(key: str, names: list[str], columns: list[str], cells: str) -> str:
+    rows = ", ".join(f"('{name}', {cell})" for name, cell in zip(names, cells.split(), strict=True))
+    return f"SELECT {key}, {', '.join(f'{c}::BIGINT AS {c}' for c in columns)} FROM (VALUES {rows}) t({key}, {', '.join(columns)})"
+
+
+def recorded_work() -> dict[str, str]:
+    """SQL of the recorded counts by query name."""
+    counts = ["classes", "rounds", "processed", "accepted"]
+    out = {f"tier_work_{name}": recorded("tier", ["task", "socket", "host"], [*counts, "remote"], cells) for name, cells in TIER_WORK.items()}
+    return out | {f"root_work_{g}": recorded("root", ["delta3", "delta7", "delta25", "kla1", "kla2", "chaotic"], counts, cells) for g, cells in ROOT_WORK.items()}

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from ordwork.core.machine import LimitReached, Limits, Machine, run, shortest_paths
 from ordwork.core.ordering import Relation, by_distance, chaotic, check_strict_weak, distance_bands, induced_less, level_bands, then
-from ordwork.core.rule import sssp_rule
+from ordwork.core.rule import Rule, Statement, improves, sssp_rule
 from ordwork.core.tiers import TierTree, Tiered, all_variants, tiered, tiered_tree
 from ordwork.graph.model import EdgeSet, GraphError
 from ordwork.sources.graphs import GRAPHS
@@ -203,22 +203,122 @@ def test_limits(spark, trade):
     assert info.value.measures["processed"] > 10
 
 
-def test_plan_has_one_shuffle_a_round_and_hash_minima(spark, trade):
-    """The state and the items meet in one exchange by vertex and a hash aggregate."""
+PLUS = (lambda d, w: d + w, lambda d, w: d + w)
+
+
+def far_statement(most):
+    """Items of a value under `most` also send one that jumps three further; the state is left alone."""
+    return Statement(lambda value, old: value < most, lambda d, w: d + w + 3, lambda d, w: d + w + 3, updates=False, holds=lambda value, old: value < most)
+
+
+@pytest.mark.parametrize("mode", ["lockstep", "drain"])
+def test_each_statement_fires_under_its_own_condition(spark, mode):
+    """A second statement whose condition never holds changes nothing; with one that emits, its items are counted but are never better."""
+    rows = [(0, 1, 4), (1, 2, 5), (2, 3, 1), (0, 2, 20)]
+    relax = Statement(improves, *PLUS)
+    never = Statement(lambda value, old: F.lit(False), lambda d, w: F.lit(0).cast("long"), lambda d, w: 0, holds=lambda value, old: False)
+    alone = run(spark, Machine(edge_set(spark, rows), Rule("one", (relax,)), chaotic(), (0,)), mode)
+    both = run(spark, Machine(edge_set(spark, rows), Rule("two", (relax, never)), chaotic(), (0,)), mode)
+    assert state(alone) == state(both) == {0: 0, 1: 4, 2: 9, 3: 10}
+    assert (alone.measures.processed, alone.measures.accepted) == (both.measures.processed, both.measures.accepted)
+
+
+@pytest.mark.parametrize("mode", ["lockstep", "drain"])
+def test_statement_without_update_emits_and_leaves_the_state(spark, mode):
+    """On a path, items under 5 send a second one: source 2 items, vertex 1 (4) again 2, vertex 2 (9) one."""
+    rows = [(0, 1, 4), (1, 2, 5), (2, 3, 1)]
+    rule = Rule("echo", (Statement(improves, *PLUS), far_statement(5)))
+    got = run(spark, Machine(edge_set(spark, rows), rule, chaotic(), (0,)), mode)
+    assert state(got) == {0: 0, 1: 4, 2: 9, 3: 10}
+    assert got.measures.emitted >= 5 if mode == "lockstep" else got.measures.processed >= 6
+
+
+@pytest.mark.parametrize("mode", ["lockstep", "drain"])
+def test_levels_with_distances_beyond_any_packing(spark, mode):
+    rows = [(0, 1, 2**43), (1, 2, 1), (2, 3, 2**61)]
+    for ordering in (level_bands(1), chaotic()):
+        got = state(run(spark, shortest_paths(edge_set(spark, rows), 0, ordering), mode))
+        assert got == {0: 0, 1: 2**43, 2: 2**43 + 1, 3: 2**61 + 2**43 + 1}
+
+
+def test_level_bits_follow_what_was_seen(spark):
+    from ordwork.plans.loop import Loop
+
+    loop = Loop(spark, shortest_paths(GRAPHS["toy"](spark), 0, level_bands(1)), Limits(), "bits")
+    for most, top, bits in ((2**40, 3, 2), (2**39, 2**21, 22), (2**40, 2**21, 0), (2**61, 1, 0), (2**60, 1, 1)):
+        loop.most, loop.top_level = most, top
+        assert loop.level_bits() == bits
+    loop.least, loop.most, loop.top_level = -1, 5, 1
+    assert loop.level_bits() == 0
+
+
+@pytest.mark.parametrize("delta", [0.1, 0.3, 2, 2.5])
+def test_bands_are_the_same_in_both_plans(spark, delta):
+    """Quotients that rounding moves over a whole number, as .5 / .1."""
+    values = [0.0, 0.1, 0.2, 0.3, 0.5, 0.6, 0.7, 0.9, 1.0, 1.1, 7.3]
+    order = distance_bands(delta)
+    for kind, of in (("double", float), ("decimal(12,2)", lambda x: Decimal(str(x)))):
+        items = spark.createDataFrame([(of(x),) for x in values], f"dist {kind}")
+        assert [r[0] for r in items.select(order.key(items)).collect()] == [order.local(of(x), 0) for x in values]
+
+
+def test_idle_classes_are_counted_without_rounds(spark, sf, monkeypatch):
+    """Skipping classes in which nothing can act gives the counts of running them all."""
+    from ordwork.plans.loop import Loop
+
+    graph = EdgeSet(Store(spark, "idle").save(GRAPHS["lattice"](spark, sf).edges, "edges"))
+    machine = shortest_paths(graph, 0, distance_bands(25))
+    fast = run(spark, machine)
+    assert (fast.measures.classes, fast.measures.rounds, fast.measures.processed, fast.measures.accepted) == (17, 49, 773, 208)
+    monkeypatch.setattr(Loop, "ahead", lambda self, key: key)
+    slow = run(spark, machine)
+    assert [(t["class_key"], t["processed"], t["accepted"]) for t in fast.measures.trace] == [(t["class_key"], t["processed"], t["accepted"]) for t in slow.measures.trace]
+
+
+def test_hubs_and_a_kept_base(spark, monkeypatch):
+    """Edges beyond the near parts of a hub take their own join; the state is folded into its base at once."""
+    from ordwork.graph import model
     from ordwork.plans import lockstep, loop
 
-    seen = {}
-
-    class Probe(loop.Loop):
-        def run(self, step):
-            items = self.store.save(self.machine.seed_items(self.spark), "seeds")
-            out = step(items, self.state(), 0, {})
-            seen["plan"] = out._jdf.queryExecution().executedPlan().toString()
-            return None
-
-    old, lockstep.Loop = lockstep.Loop, Probe
-    try:
-        run(spark, shortest_paths(trade, 0, chaotic()))
-    finally:
-        lockstep.Loop = old
-    assert "SortAggregate" not in seen["plan"] and "HashAggregate" in seen["plan"] and "CartesianProduct" not in seen["plan"]
+    monkeypatch.setattr(model.EdgeSet.dealt, "__defaults__", (8,))
+    monkeypatch.setattr(lockstep, "NEAR_PARTS", 2)
+    monkeypatch.setattr(loop, "RECENT", 0)
+    rows = [(0, k, 1 + k % 7) for k in range(1, 80)] + [(k, 100 + k % 5, 2) for k in range(1, 80)] + [(100, k, 1) for k in range(200, 260)]
+    for ordering in (chaotic(), distance_bands(2), level_bands(1)):
+        assert state(run(spark, shortest_paths(edge_set(spark, rows), 0, ordering))) == heap(rows, 0)
+
+
+def test_a_round_shuffles_its_frontier_only(spark, trade, monkeypatch):
+    """One exchange in the plan of a round: neither the state's base nor the adjacency is shuffled again."""
+    from ordwork import store
+    from ordwork.plans import loop
+
+    monkeypatch.setattr(loop, "RECENT", 0)
+    plans, write = [], store.Store.write
+
+    def spy(self, frame, name, partition_by=None):
+        if name == "round":
+            plans.append(frame._jdf.queryExecution().executedPlan().toString())
+        return write(self, frame, name, partition_by)
+
+    monkeypatch.setattr(store.Store, "write", spy)
+    run(spark, shortest_paths(trade, 0, distance_bands(7)))
+    lines = plans[-1].splitlines()
+    own, deep = [], None
+    for line in lines:
+        depth = len(line) - len(line.lstrip(" :+-"))
+        if deep is not None and depth > deep:
+            continue
+        deep = depth if "InMemoryRelation" in line else None
+        own.append(line)
+    assert sum("Exchange" in x for x in own) == 1 and "CartesianProduct" not in plans[-1] and "SortAggregate" not in "".join(own)
+    assert sum("InMemoryTableScan" in x for x in own) == 2
+    assert not any(x in plans[-1] for x in ("BroadcastNestedLoop", "CartesianProduct"))
+
+
+def test_distance_order_gains_nothing_from_tiers(spark, trade):
+    """Under the distance order at the root a local one changes neither classes nor work."""
+    base = run(spark, shortest_paths(trade, 0, by_distance()), "drain", tiered(by_distance(), None)).measures
+    for tier in ("task", "host"):
+        m = run(spark, shortest_paths(trade, 0, by_distance()), "drain", tiered(by_distance(), tier)).measures
+        assert (m.classes, m.processed, m.accepted) == (base.classes, base.processed, base.accepted)
