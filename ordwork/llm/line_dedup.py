@@ -10,7 +10,8 @@ of all documents share costs one row a task in the shuffle; only windows that do
 be split by adaptive execution as one side has a row per window.
 
 Defined results: rows with a null id or null text pass unchanged, as do texts of fewer than three non-blank
-lines; rows that share an id count as one document, none of them earlier than the other; an empty table gives
+lines; rows that share an id but not the text are documents of their own, in the order of a hash of the text; rows that share both
+are one document, none of them earlier than the other, and lose the same lines; an empty table gives
 an empty table; columns that are not used pass through; `n_lines` and `n_removed` replace columns of those names.
 """
 
@@ -40,7 +41,7 @@ def filled_lines(text):
 
 
 def windows(docs: DataFrame, text: str, key: str) -> DataFrame:
-    """(id, at, h1, h2): a row for each window; at holds the places of its lines among all lines of the text."""
+    """(id, t, at, h1, h2): a row for each window; t is a hash of the text, at holds the places of its lines among all lines of the text."""
     width = WINDOW
 
     def of(lines):
@@ -50,25 +51,25 @@ def windows(docs: DataFrame, text: str, key: str) -> DataFrame:
         made = F.transform(F.sequence(F.lit(0), last), lambda j: F.struct(inside(j)["i"].alias("at"), F.xxhash64(name(j)).alias("h1"), F.xxhash64(F.lit(1), name(j)).alias("h2")))
         return F.when(last >= 0, made)
 
-    rows = docs.where(F.col(key).isNotNull() & F.col(text).isNotNull()).select(F.col(key).alias("id"), F.explode(let(filled_lines(F.col(text)), of)).alias("w"))
-    return rows.select("id", "w.at", "w.h1", "w.h2")
+    rows = docs.where(F.col(key).isNotNull() & F.col(text).isNotNull()).select(F.col(key).alias("id"), F.xxhash64(text).alias("t"), F.explode(let(filled_lines(F.col(text)), of)).alias("w"))
+    return rows.select("id", "t", "w.at", "w.h1", "w.h2")
 
 
 def repeated_lines(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """(id, gone): for each document with later occurrences, the places of the lines that they cover."""
+    """(id, t, gone): for each document with later occurrences, the places of the lines that they cover."""
     rows = windows(docs, text, key)
-    first = F.min(F.struct("id", F.col("at")[0].alias("at"))).alias("first")
+    first = F.min(F.struct("id", "t", F.col("at")[0].alias("at"))).alias("first")
     firsts = rows.groupBy("h1", "h2").agg(first, F.count("*").alias("n")).where("n > 1").select("h1", "h2", "first")
     firsts = Scratch(docs.sparkSession, "lines").save(firsts, "repeated")
-    later = rows.join(firsts, ["h1", "h2"]).where(F.struct("id", F.col("at")[0].alias("at")) > F.col("first"))
-    return later.select("id", F.explode("at").alias("at")).groupBy("id").agg(F.collect_set("at").alias("gone"))
+    later = rows.join(firsts, ["h1", "h2"]).where(F.struct("id", "t", F.col("at")[0].alias("at")) > F.col("first"))
+    return later.select("id", "t", F.explode("at").alias("at")).groupBy("id", "t").agg(F.collect_set("at").alias("gone"))
 
 
 def dedup_lines(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """docs with the text that is left, n_lines (non-blank lines before) and n_removed."""
     base = without(docs, "n_lines", "n_removed")
-    gone = repeated_lines(base, text, key).select(F.col("id").alias("__id"), F.col("gone").alias("__gone"))
-    joined = base.join(gone, F.col(key) == F.col("__id"), "left")
+    gone = repeated_lines(base, text, key).select(F.col("id").alias("__id"), F.col("t").alias("__t"), F.col("gone").alias("__gone"))
+    joined = base.join(gone, (F.col(key) == F.col("__id")) & (F.xxhash64(text) == F.col("__t")), "left")
 
     def kept(lines):
         rest = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("__gone"))
