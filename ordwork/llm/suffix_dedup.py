@@ -17,8 +17,11 @@ Sorting every position would move many times the corpus. Three facts keep that d
 * A task settles equal runs of one batch itself. A string in a third of all texts therefore sends one row a batch to
   the sort, not one a text.
 
-Defined results: null texts are empty; rows with a null id match nothing; rows that share an id count as one document
-(equal starts aren't earlier); texts shorter than LENGTH bytes stay; texts of any length are handled in
+Buckets that hold more than HOT rows (a phrase that very many texts share) are not ranked by a window, which would gather each in
+a task, but by partial aggregates whose one row a bucket is joined back.
+
+Defined results: null texts are empty; rows with a null id match nothing; rows that share an id but not the text are documents of their own,
+in the order of a hash of the text; rows that share both count as one document (equal starts aren't earlier) and lose the same bytes; texts shorter than LENGTH bytes stay; texts of any length are handled in
 overlapping pieces; ids are integers; columns of the input pass through, clashing result columns are replaced.
 """
 
@@ -37,6 +40,8 @@ LENGTH = 100
 GRAM = 48
 #: Bytes of text that are refined together; a longer text is cut into overlapping pieces of so many starts.
 PORTION = 750_000
+#: Rows of one bucket that a window may rank in one task.
+HOT = 500_000
 U = np.uint64
 PLACE = U(0xFFFFFF)
 
@@ -173,11 +178,13 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
     def pointers(batch):
         for runs, _, _ in each_runs(batch, length, gram):
             grams, counts = np.unique(runs.gram_id, return_counts=True)
-            yield {"g": grams.view(np.int64), "c": np.minimum(counts, 2).astype(np.int8)}
+            yield {"g": grams.view(np.int64), "c": counts.astype(np.int32)}
 
-    shared = map_batches(rows, pointers, "g bigint, c tinyint").groupBy("g").agg(F.sum("c").alias("c")).where("c > 1").select("g")
+    shared = map_batches(rows, pointers, "g bigint, c int").groupBy("g").agg(F.sum("c").alias("c")).where("c > 1")
     shared = scratch.save(shared, "shared")
-    repeated = bloom.build(shared, shared.count())
+    n, most = shared.agg(F.count("*"), F.max("c")).first()
+    hot = (most or 0) > HOT  # strings in very many texts have a pointer in very many runs
+    repeated = bloom.build(shared.select("g"), n)
     scratch.drop(shared)
 
     def candidates(batch):
@@ -189,9 +196,15 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
                 yield {"g": spread(g, late, ids, starts), "k": k.view(np.int64), "id": ids, "start": starts, "n": n.astype(np.int32), "late": late}
 
     found = map_batches(rows, candidates, "g bigint, k bigint, id bigint, start bigint, n int, late boolean")
-    same, bucket = Window.partitionBy("g", "k").orderBy("id", "start"), Window.partitionBy("g")
-    ranked = found.withColumn("rank", F.rank().over(same)).withColumn("mixed", F.min("k").over(bucket) != F.max("k").over(bucket))
-    kept = ranked.where("late or rank > 1 or mixed").select("id", "start", "n", (F.col("late") | (F.col("rank") > 1)).alias("late"))
+    if hot:
+        found = scratch.save(found, "found")
+        firsts = scratch.save(found.groupBy("g", "k").agg(F.min(F.struct("id", "start")).alias("first")), "firsts")
+        several = firsts.groupBy("g").agg((F.min("k") != F.max("k")).alias("mixed"))
+        ranked = found.join(firsts.join(several, "g"), ["g", "k"]).withColumn("again", F.struct("id", "start") > F.col("first"))
+    else:
+        same, bucket = Window.partitionBy("g", "k").orderBy("id", "start"), Window.partitionBy("g")
+        ranked = found.withColumn("again", F.rank().over(same) > 1).withColumn("mixed", F.min("k").over(bucket) != F.max("k").over(bucket))
+    kept = ranked.where("late or again or mixed").select("id", "start", "n", (F.col("late") | F.col("again")).alias("late"))
     runs_table = scratch.save(kept, "runs")
     open_runs = runs_table.where("not late").select("id", "start")
 
@@ -213,9 +226,14 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
             late = settled((b, a), ids, starts)
             yield {"a": spread(a, late, ids, starts), "b": b.view(np.int64), "id": ids, "start": starts, "late": late}
 
-    # a window's rank by (a, b): the position is covered unless it is the first of its bucket
+    # the position is covered unless it is the first of its bucket (a, b)
     one = map_batches(rows, singles, "a bigint, b bigint, id bigint, start bigint, late boolean")
-    one = one.withColumn("rank", F.rank().over(Window.partitionBy("a", "b").orderBy("id", "start"))).where("late or rank > 1")
+    if hot:
+        one = scratch.save(one, "one")
+        one = one.join(one.groupBy("a", "b").agg(F.min(F.struct("id", "start")).alias("first")), ["a", "b"]).withColumn("again", F.struct("id", "start") > F.col("first"))
+    else:
+        one = one.withColumn("again", F.rank().over(Window.partitionBy("a", "b").orderBy("id", "start")) > 1)
+    one = one.where("late or again")
     singles_table = scratch.save(one.select("id", "start", F.lit(1).alias("n")), "singles")
     return runs_table.where("late").select("id", "start", "n").unionByName(singles_table)
 
@@ -228,11 +246,24 @@ def merged(starts: np.ndarray, n: np.ndarray, length: int) -> tuple[np.ndarray,
     return low[new], high[np.append(np.flatnonzero(new)[1:] - 1, len(high) - 1)]
 
 
+def placed(docs: DataFrame, scratch: Scratch, text: str, key: str) -> DataFrame:
+    """docs with `__place`: a number in the order of ids, different for rows of one id with different texts; the id itself where there are none."""
+    rows = docs.withColumn("__t", F.xxhash64(text))
+    known = rows.where(F.col(key).isNotNull() & F.col(text).isNotNull()).select(F.col(key).alias("__id"), "__t")
+    clashes = known.groupBy("__id").agg(F.min("__t").alias("a"), F.max("__t").alias("b")).where("a <> b")
+    if not clashes.limit(1).count():
+        return docs.withColumn("__place", F.col(key).cast("long"))
+    # ids go up with the partitions of a global sort, and so does this number; stored, as it must not change
+    places = scratch.save(known.distinct().orderBy("__id", "__t").withColumn("__place", F.monotonically_increasing_id()), "places").withColumnRenamed("__t", "__u")
+    return rows.join(places, (F.col(key) == F.col("__id")) & (F.col("__t") == F.col("__u")), "left").select(*docs.columns, "__place")
+
+
 def repeats(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "doc_id", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """docs with `__cover`: array of (start, n) of the starts that also stand earlier, null if none."""
-    found = covered(docs, scratch, text, key, length, gram)
+    docs = placed(docs, scratch, text, key)
+    found = covered(docs, scratch, text, "__place", length, gram)
     per = found.groupBy("id").agg(F.collect_list(F.struct(F.col("start").cast("int").alias("start"), "n")).alias("__cover")).withColumnRenamed("id", "__id")
-    return docs.join(per, F.col(key).cast("long") == F.col("__id"), "left").drop("__id")
+    return docs.join(per, F.col("__place") == F.col("__id"), "left").drop("__id", "__place")
 
 
 def spans_of(cover, row: int, length: int) -> list[tuple[int, int]]:
