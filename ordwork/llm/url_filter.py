@@ -85,10 +85,15 @@ def mine(labelled: DataFrame, url: str, bad: str, min_support: float = MIN_SUPPO
 
 
 def matching(urls: DataFrame, url: str, rules: DataFrame) -> DataFrame:
-    """(url, mined): distinct URLs that hold all tokens of a rule, with how many rules they fit."""
-    named = rules.select(F.md5(F.array_join("tokens", "\u0001")).alias("rule"), F.size("tokens").alias("need"), F.explode("tokens").alias("token"))
-    held = urls.select(F.col(url).alias("url")).where("url is not null").distinct().select("url", F.explode(tokens_of(F.col("url"))).alias("token"))
-    hits = held.join(named, "token").groupBy("url", "rule").agg(F.count("*").alias("have"), F.first("need").alias("need")).where("have = need")
+    """(url, mined): distinct URLs that hold all tokens of a rule, with how many rules they fit.
+
+    The index has each rule under the one of its tokens that the fewest URLs hold, so a common token (`host=com`) meets only rules that have no rarer one.
+    """
+    held = urls.select(F.col(url).alias("url")).where("url is not null").distinct().withColumn("held", tokens_of(F.col("url"))).select("url", "held", F.explode("held").alias("token"))
+    each = rules.select("tokens", F.explode("tokens").alias("token"))
+    often = held.join(each.select("token").distinct(), "token", "left_semi").groupBy("token").agg(F.count("*").alias("often"))
+    index = each.join(often, "token", "left").groupBy("tokens").agg(F.min(F.struct(F.coalesce("often", F.lit(0)).alias("often"), "token"))["token"].alias("token"))
+    hits = held.join(index, "token").where(F.size(F.array_except("tokens", "held")) == 0)
     return hits.groupBy("url").agg(F.count("*").alias("mined"))
 
 
