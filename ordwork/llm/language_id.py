@@ -51,7 +51,7 @@ def sample(labelled: DataFrame, text: str, lang: str, key: str, most: int) -> Da
     hashed = lambda at: F.pmod(F.xxhash64("key", at), F.lit(1_000_003)) / 1_000_003.0
     starts = F.filter(F.sequence(F.lit(0), F.floor((F.greatest(F.char_length("text"), F.lit(1)) - 1) / chunk).cast("int")), lambda at: hashed(at) < share)
     parts = F.when(share >= 1, F.array("text")).otherwise(F.transform(starts, lambda at: F.substring("text", at * chunk + 1, F.lit(chunk))))
-    return rows.join(F.broadcast(sizes.limit(10_000)), "lang").select("lang", F.explode(parts).alias("text"))
+    return rows.join(sizes, "lang").select("lang", F.explode(parts).alias("text"))
 
 
 def gram_counts(rows: DataFrame) -> DataFrame:
