@@ -80,6 +80,34 @@ def test_line_dedup_hot_window(spark):
     assert got.where("n_removed = 3").count() == 399
 
 
+def brute_lines(rows):
+    """(id, text) -> places of the lines that go; documents are pairs of an id and a text, ordered by id, then by the hash of the text."""
+    seen, out = {}, {}
+    def windows(text):
+        filled = [(i, x.strip(" \t\r")) for i, x in enumerate(text.split("\n")) if x.strip(" \t\r")]
+        return [([i for i, _ in filled[k : k + 3]], tuple(x for _, x in filled[k : k + 3])) for k in range(len(filled) - 2)]
+
+    for i, t, h in sorted({(i, t, h) for i, t, h in rows}, key=lambda r: (r[0], r[2])):
+        gone = out.setdefault((i, t), set())
+        for at, w in windows(t):
+            if w in seen:
+                gone.update(at)
+            seen.setdefault(w, (i, h, at[0]))
+    return out
+
+
+def test_line_dedup_repeated_ids(spark):
+    """Rows of one id with different texts lose their own lines only."""
+    rows = [(1, "a\nb\nc"), (7, "zz"), (7, "x\na\nb\nc"), (7, "kd\nke\nkf\nkg"), (8, "kd\nke\nkf"), (7, "x\na\nb\nc"), (9, "p\nq\nr"), (9, "o\np\nq\nr")]
+    docs = docs_of(spark, rows)
+    hashed = [tuple(r) for r in docs.select("doc_id", "text", F.xxhash64("text")).collect()]
+    want = brute_lines(hashed)
+    expected = sorted((i, "\n".join(x for k, x in enumerate(t.split("\n")) if k not in want[i, t]), len(want[i, t])) for i, t in rows)
+    got = line_dedup.dedup_lines(docs)
+    assert sorted(tuple(r) for r in got.select("doc_id", "text", "n_removed").collect()) == expected
+    assert got.where("n_removed > n_lines").count() == 0 and ("zz" in [r["text"] for r in got.collect()])
+
+
 # --- 2 url filter ---
 
 
@@ -100,6 +128,42 @@ def test_url_rules(spark, sf):
         assert r["rule"] == rule and (rule is None or r["verdict"] == verdict)
 
 
+def brute_rules(baskets, least, confidence):
+    """Token sets that say `bad` by support and confidence, without those that a smaller one is as good as."""
+    from collections import Counter
+    from itertools import combinations
+
+    n, sets, bad = len(baskets), Counter(), Counter()
+    for tokens, b in baskets:
+        for size in range(1, len(tokens) + 1):
+            for c in combinations(sorted(tokens), size):
+                sets[c] += 1
+                bad[c] += b
+    good = {c: bad[c] / sets[c] for c in sets if bad[c] >= least * n - 1e-9 and bad[c] / sets[c] >= confidence}
+    return {c for c, x in good.items() if not any(set(d) < set(c) and y >= x for d, y in good.items())}
+
+
+def test_url_query_mines_planted_associations(spark, tmp_path):
+    """The registered query at its own thresholds on tables with an association: rules and verdicts are those of brute force."""
+    pages, labels = [], []
+    for k in range(400):
+        shop = k % 4 == 0
+        pages.append((k, f"https://www.{'shop' if shop else 'news'}{k % 3}.info/{'deal' if shop else 'story'}/{k}" + ("?ref=1" if k % 8 == 0 else "")))
+        if k % 2 == 0:
+            labels.append((k, 0 if shop and k % 20 else 1, 0))
+    spark.createDataFrame(pages, "page_id long, url string").write.parquet(f"{tmp_path}/pages.parquet")
+    spark.createDataFrame(labels, "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    frame = spark.createDataFrame(pages, "page_id long, url string").select("page_id", url_filter.tokens_of(F.col("url")).alias("t"))
+    tokens = {r["page_id"]: set(r["t"]) for r in frame.collect()}
+    baskets = [(tokens[i], q == 0) for i, q, _ in labels]
+    rules = brute_rules(baskets, max(url_filter.MIN_SUPPORT, url_filter.MIN_COUNT / len(baskets)), url_filter.MIN_CONFIDENCE)
+    assert rules
+    got = {r["page_id"]: r for r in queries.url_filter(spark, str(tmp_path)).collect()}
+    assert {i: got[i]["mined"] for i in tokens} == {i: sum(set(c) <= t for c in rules) for i, t in tokens.items()}
+    assert all((got[i]["verdict"] == "block") == (got[i]["mined"] > 0) for i in tokens if got[i]["rule"] is None)
+    assert 0 < sum(r["verdict"] == "block" for r in got.values()) < len(got)
+
+
 def test_url_parts_and_mining(spark):
     urls = [(f"http://bad.site{k % 3}.com/buy/{k}?ref=1", True) for k in range(60)] + [(f"https://good.site{k % 3}.com/read/{k}", False) for k in range(60)]
     labelled = spark.createDataFrame(urls, "url string, bad boolean")
@@ -261,6 +325,21 @@ def test_suffix_dedup(spark, rows, portion, monkeypatch):
     assert got == brute_repeats(docs)
 
 
+@pytest.mark.parametrize("hot", [500_000, 1])
+def test_suffix_dedup_repeated_ids_and_hot_buckets(spark, hot, monkeypatch):
+    """Documents are (id, text), ordered by id, then by the hash of the text; buckets beyond HOT take the aggregates' way."""
+    monkeypatch.setattr(suffix_dedup, "HOT", hot)
+    word = lambda k, n: "".join(hashlib.sha256(f"{k}-{j}".encode()).hexdigest() for j in range(n))
+    rows = [(1, word(1, 4)), (2, "<" + word(1, 3)), (3, word(2, 4)), (3, word(1, 4) + "!"), (3, "short"), (4, word(2, 2) + word(1, 2)), (3, "short"), (5, word(9, 3))]
+    rows += [(10 + k, f"{k:05d}" + word(5, 2) + f"{k * 7:05d}") for k in range(30)]
+    docs = docs_of(spark, rows)
+    order = {(r[0], r[1]): n for n, r in enumerate(sorted({tuple(r) for r in docs.select("doc_id", "text", F.xxhash64("text")).collect()}, key=lambda r: (r[0], r[2])))}
+    want = brute_repeats([(n, t) for (_, t), n in order.items()])
+    got = suffix_dedup.digest(docs).collect()
+    assert sorted(tuple(r) for r in got) == sorted((i, *want[order[i, t]]) for i, t in rows)
+    assert all(r["n_removed"] <= r["n_bytes"] for r in got)
+
+
 def test_suffix_spans_and_edges(spark):
     text = hashlib.sha256(b"x").hexdigest() * 2 + "ab"
     text = text[:64] + hashlib.sha256(b"y").hexdigest() + "ab"
@@ -309,6 +388,39 @@ def test_html_class_words():
     assert alone("<body><div class='widget'><p>all there is</p></div></body>") == "all there is"
 
 
+def test_html_constant_texts_are_template():
+    """Without article or main, what all pages share is template and what differs is main text; the wrapper decides."""
+    page = lambda k: f"<body><div><p>Welcome to our site</p></div><div><h2>Title {k}</h2><p>Words of text number {k}</p></div><div><p>Copyright all rights</p></div></body>"
+    pages = [page(k) for k in range(8)]
+    wrapper = html_extract.Wrapper(html_extract.infer(pages))
+    assert [html_extract.extract(p, wrapper) for p in pages] == [f"Title {k}\nWords of text number {k}" for k in range(8)]
+    assert html_extract.extract(page(99), wrapper) == "Title 99\nWords of text number 99"
+    alone = html_extract.Wrapper(html_extract.infer(pages[:1] * 8))  # equal pages prove nothing
+    assert html_extract.extract(pages[0], alone) == "Welcome to our site\nTitle 0\nWords of text number 0\nCopyright all rights"
+
+
+def test_html_copies_of_one_article_stay_whole():
+    text = " ".join(f"word{k}" for k in range(150))
+    pages = [f"<body><article><p>{text}</p><p>copy {k}</p></article></body>" for k in range(5)]
+    wrapper = html_extract.Wrapper(html_extract.infer(pages))
+    assert [html_extract.extract(p, wrapper) for p in pages] == [f"{text}\ncopy {k}" for k in range(5)]
+
+
+def test_html_deep_pages():
+    import time
+
+    deep = "<body>" + "<div>" * 20_000 + "x" + "</div>" * 20_000 + "</i>" * 20_000 + "</body>"
+    began = time.time()
+    assert html_extract.extract(deep, html_extract.Wrapper(html_extract.infer([page("<p>a</p>")]))) == "x"
+    assert time.time() - began < 10  # it was beyond 40 s when paths were written out
+
+
+def test_html_repeated_rows_and_other_columns(spark):
+    rows = [(1, "http://a.com/1", page("<p>one</p>"), "x")] * 3 + [(2, "http://a.com/2", page("<p>two</p>"), "y")]
+    got = html_extract.main_text(spark.createDataFrame(rows, "page_id long, url string, html string, Text string"))
+    assert sorted(tuple(r) for r in got.select("page_id", "text").collect()) == [(1, "one")] * 3 + [(2, "two")]
+
+
 def test_html_space_between_inline():
     page = "<body><article><h1><span>A</span> <span>B</span></h1><ul><li><a>one</a> <a>two</a></li></ul><blockquote><b>x</b>\n<i>y</i>z</blockquote></article></body>"
     assert html_extract.extract(page, html_extract.Wrapper(html_extract.infer([page]))) == "A B\none two\nx yz"
