@@ -30,9 +30,11 @@ def class_profile(spark: SparkSession, result: RunResult) -> DataFrame:
 
 
 def summary(rows: list[dict]) -> list[dict]:
-    """Mean and standard deviation of the wall seconds over repeats of a configuration, with its speed-up over its base."""
+    """Mean and standard deviation of the wall seconds over repeats of a configuration, with its speed-up over its base; runs that a limit stopped are left out."""
     groups: dict[tuple, list[dict]] = {}
     for r in rows:
+        if "stopped" in r:
+            continue
         groups.setdefault((r["graph"], r["root"], r["param"], r["tier"], r["mode"]), []).append(r)
     out = []
     for (graph, root, param, tier, mode), some in groups.items():

@@ -129,3 +129,27 @@ def test_sql_surface(spark):
     assert spark.sql("SELECT dist FROM toy_dist WHERE v = 1").first()[0] == 4
     bands.register(spark)
     assert spark.sql("SELECT mean_distance(dist) FROM toy_dist WHERE v < 2").first()[0] == 2.0
+
+
+def test_repair_goes_on_from_its_last_commit(spark, tmp_path):
+    """Made again on its folder, a repair knows its edges, state and batches; a batch that comes twice changes nothing."""
+    from ordwork.streaming.streams import Repair
+
+    batch = lambda rows: EdgeSet.of(spark.createDataFrame(rows, "src long, dst long, w long"))
+    folder = str(tmp_path / "repair")
+    Repair(spark, 0, folder).insert(batch([(0, 1, 5), (1, 2, 5)]), 0)
+    again = Repair(spark, 0, folder)
+    assert again.last == 0 and {r["v"]: r["dist"] for r in again.state.collect()} == {0: 0, 1: 5, 2: 10}
+    again.insert(batch([(0, 1, 1)]), 0)
+    assert {r["v"]: r["dist"] for r in again.state.collect()} == {0: 0, 1: 5, 2: 10}
+    again.insert(batch([(0, 2, 4), (2, 3, 1)]), 1)
+    assert {r["v"]: r["dist"] for r in Repair(spark, 0, folder).state.collect()} == {0: 0, 1: 5, 2: 4, 3: 5}
+
+
+def test_a_trigger_is_a_hop(spark):
+    """A path of three edges: the seed, three hops, and the offers of the last vertex, of which there are none."""
+    from ordwork.streaming.streams import hop_by_trigger
+
+    edges = spark.createDataFrame([(0, 1, 2), (1, 2, 2), (2, 3, 2), (0, 3, 9)], "src long, dst long, w long")
+    state, triggers = hop_by_trigger(spark, edges, 0)
+    assert {r["v"]: r["dist"] for r in state.collect()} == {0: 0, 1: 2, 2: 4, 3: 6} and triggers == 4
