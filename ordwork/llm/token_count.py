@@ -4,8 +4,8 @@ Offline, once on the driver, it is proved which vocabulary strings encode alone
 (:meth:`Bpe.whole_tokens`). A text's pre-tokens found in that set count one each, straight from a dictionary;
 only the rest goes through the merges.
 
-Defined results: null and empty texts count nothing; every other column passes through; a column that
-clashes with a result column is replaced by the result; repeated rows are counted each.
+Defined results: null and empty texts count nothing; only the key and the counts are returned, so other columns, whatever their
+names, neither matter nor clash; repeated rows are counted each.
 """
 
 from __future__ import annotations
