@@ -217,6 +217,55 @@ def test_embeddings(spark, settings):
     assert embedding_dedup.near_vectors(frame.limit(0)).count() == 0
 
 
+def planted_vectors(n, pairs, dims, seed):
+    """n random unit vectors; the first ``pairs`` have a partner at a cosine just above the limit; ids are shuffled."""
+    rng = np.random.default_rng(seed)
+    x = rng.standard_normal((n - pairs, dims))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    noise = rng.standard_normal((pairs, dims))
+    noise -= (noise * x[:pairs]).sum(1)[:, None] * x[:pairs]
+    noise /= np.linalg.norm(noise, axis=1)[:, None]
+    cos = rng.uniform(0.901, 0.95, pairs)[:, None]
+    ids = rng.permutation(n)
+    return ids, np.concatenate([x, cos * x[:pairs] + np.sqrt(1 - cos**2) * noise]), {frozenset((int(ids[i]), int(ids[n - pairs + i]))) for i in range(pairs)}
+
+
+@pytest.mark.parametrize(("n", "pairs", "settings"), [(50_000, 5_000, {}), (6_000, 600, {"sample": 300, "leaf": 40, "block": 100})])
+def test_embeddings_recall(spark, tmp_path, n, pairs, settings):
+    """Pairs close to the limit are found, none is made up; the second table overfills the leaves of its sample, which are split further."""
+    import pandas as pd
+
+    ids, x, planted = planted_vectors(n, pairs, 64, 3)
+    pd.DataFrame({"vec_id": ids, "embedding": list(x)}).to_parquet(tmp_path / "v.parquet")
+    rows = embedding_dedup.near_vectors(spark.read.parquet(str(tmp_path / "v.parquet")), **settings).where("n_links > 0 or vec_id <> component_id").collect()
+    assert all(r["n_links"] == 1 for r in rows)
+    found = {frozenset((r["vec_id"], r["component_id"])) for r in rows if r["vec_id"] != r["component_id"]}
+    print("recall", len(found) / pairs)
+    assert found <= planted and len(found) >= 0.95 * pairs
+    assert len(rows) == 2 * len(found)
+
+
+def test_embeddings_rows_dealt():
+    """A vector lies in fewer than twelve leaves of the forest for 50,000 vectors."""
+    x = planted_vectors(20_000, 0, 64, 4)[1]
+    forest = embedding_dedup.Forest(x, 50_000, embedding_dedup.LEAF, 0.9, embedding_dedup.MISS)
+    assert len(forest.place(x)[0]) < 12 * len(x)
+
+
+def test_embeddings_lengths_and_names(spark):
+    """Vectors of every length are compared with those of their length; other columns may have any name."""
+    rng = np.random.default_rng(8)
+    items = []
+    for k, dims in enumerate([8] * 30 + [5] * 20 + [1] * 3 + [3]):
+        items.append((k, [float(x) for x in np.eye(dims)[k % dims] + rng.standard_normal(dims) * 0.1]))
+    items += [(100, []), (101, None)]
+    frame = spark.createDataFrame([(i, v, 1, 2, "x") for i, v in items], "vec_id long, embedding array<double>, leaf int, n int, component_id string")
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in embedding_dedup.near_vectors(frame).collect()}
+    want = {}
+    for dims in (8, 5, 1, 3):
+        want |= brute_vectors([(i, v) for i, v in items if v and len(v) == dims])
+    assert got == want | {100: (0, 100), 101: (0, 101)}
+
 # --- 4 decontamination ---
 
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
