@@ -13,6 +13,10 @@ from functools import cached_property
 
 import numpy as np
 
+from ordwork.llm.common import portions
+
+#: Bytes of text that are cut into pre-tokens at a time, unless one text is longer, and bytes of words that are merged at a time.
+PORTION = 4_000_000
 #: Fixed value: the pre-token pattern of this vocabulary.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: From this code point on the Unicode tables of Python's regex and of the tokenizers library may differ; texts
@@ -104,9 +108,15 @@ class Bpe:
         return self.ranks_of(np.repeat(self.byte_id, 256), np.tile(self.byte_id, 256)).reshape(len(grid), len(grid))
 
     def merge(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """(all token ids one after the other, offsets of each word in them)."""
-        n = len(words)
+        """(all token ids one after the other, offsets of each word in them); long lists are merged in portions."""
         raw = [w.encode() for w in words]
+        offsets = np.concatenate(([0], np.cumsum(np.fromiter(map(len, raw), np.int64, len(raw)))))
+        done = [self.merge_rounds(raw[a:b]) for a, b in portions(offsets, PORTION)] or [self.merge_rounds([])]
+        sizes = np.concatenate([np.diff(ends) for _, ends in done])
+        return np.concatenate([ids for ids, _ in done]), np.concatenate(([0], np.cumsum(sizes)))
+
+    def merge_rounds(self, raw: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        n = len(raw)
         length = np.fromiter(map(len, raw), np.int64, n)
         data = np.frombuffer(b"".join(raw), np.uint8)
         symbols = self.byte_id[data]

@@ -20,8 +20,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, BooleanType, IntegerType, LongType, StructField, StructType
 
-from ordwork.llm.bpe import Bpe
-from ordwork.llm.common import kept_by_worker, map_batches, without
+from ordwork.llm.bpe import PORTION, Bpe
+from ordwork.llm.common import kept_by_worker, map_batches, portions, text_bytes, without
 
 KEPT_WORDS = 250_000
 
@@ -98,8 +98,8 @@ def encode(docs: DataFrame, tokenizer_path: str, text: str = "text") -> DataFram
 
     def each(batch):
         codec = kept_by_worker(token, lambda: Codec(bpe))
-        for at in range(0, batch.num_rows, 512):
-            part = batch.slice(at, 512)
+        for a, b in portions(text_bytes(batch.column(names.index(text)))[1], PORTION):
+            part = batch.slice(a, b - a)
             texts = part.column(names.index(text)).to_pylist()
             ids = codec.encode(texts)
             exact = [codec.decode(i) == (t or "") for i, t in zip(ids, texts, strict=True)]
@@ -131,9 +131,9 @@ def digests(docs: DataFrame, tokenizer_path: str, text: str = "text", key: str =
 
     def each(batch):
         codec = kept_by_worker(token, lambda: Digests(bpe))
-        for at in range(0, batch.num_rows, 1024):
-            n, ids, decoded = zip(*codec(batch.column(1).slice(at, 1024).to_pylist()), strict=True)
-            yield {"key": batch.column(0).slice(at, 1024), "n_tokens": n, "ids_sha256": ids, "decoded_sha256": decoded}
+        for a, b in portions(text_bytes(batch.column(1))[1], PORTION):
+            n, ids, decoded = zip(*codec(batch.column(1).slice(a, b - a).to_pylist()), strict=True)
+            yield {"key": batch.column(0).slice(a, b - a), "n_tokens": n, "ids_sha256": ids, "decoded_sha256": decoded}
 
     out = map_batches(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), each, f"key {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
     return out.withColumnRenamed("key", key)

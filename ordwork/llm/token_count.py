@@ -16,8 +16,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ordwork.llm.bpe import Bpe
-from ordwork.llm.common import kept_by_worker, map_batches
+from ordwork.llm.bpe import PORTION, Bpe
+from ordwork.llm.common import kept_by_worker, map_batches, portions, text_bytes
 
 #: Words whose counts a task keeps besides the whole tokens; the table is emptied when it is full.
 KEPT_WORDS = 300_000
@@ -49,10 +49,10 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, text: str = "text", key:
 
     def each(batch):
         count = kept_by_worker(token, lambda: Counter(bpe, whole))
-        texts, keys, size = batch.column(1), batch.column(0), 1024
-        for at in range(0, batch.num_rows, size):
-            part = texts.slice(at, size).to_pylist()
-            yield {"key": keys.slice(at, size), "n_tokens": count(part), "n_bytes": [len(t.encode()) if t else 0 for t in part]}
+        texts, keys = batch.column(1), batch.column(0)
+        for a, b in portions(text_bytes(texts)[1], PORTION):
+            part = texts.slice(a, b - a).to_pylist()
+            yield {"key": keys.slice(a, b - a), "n_tokens": count(part), "n_bytes": [len(t.encode()) if t else 0 for t in part]}
 
     out = map_batches(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), each, f"key {kind}, n_tokens bigint, n_bytes bigint")
     return out.select(F.col("key").alias(key), "n_bytes", "n_tokens")

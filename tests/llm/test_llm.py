@@ -691,3 +691,63 @@ def test_pipeline(spark, sf):
     last = corpus_pipeline.run(spark, sf)
     assert last.count() == len(left) and last.where("not exact").count() == 0
     assert len(corpus_pipeline.STAGES) == 5 and corpus_pipeline.ORACLE_SQL is None
+
+
+# --- cases every operator and stage must bear ---
+
+
+def test_tokens_in_portions(spark, bpe, library, monkeypatch):
+    """Words merged in portions and texts cut into batches by bytes give what the library gives, long texts and repeated rows included."""
+    from ordwork.llm import bpe as bpe_module
+
+    texts = [*ODD, "word " * 20_000 + "".join(chr(97 + i % 26) for i in range(5000)), "same text", "same text"]
+    whole = bpe.merge([w for t in texts if t for w in bpe.pieces(t)])
+    for portion in (1, 50):
+        monkeypatch.setattr(bpe_module, "PORTION", portion)
+        ids, ends = bpe.merge([w for t in texts if t for w in bpe.pieces(t)])
+        assert (ids == whole[0]).all() and (ends == whole[1]).all()
+    docs = spark.createDataFrame([(i % 14, t, 5, "x") for i, t in enumerate(texts)], "doc_id long, text string, n_tokens int, `key` string").coalesce(1)
+    want = sorted((i % 14, len(library.encode(t or "", add_special_tokens=False).ids)) for i, t in enumerate(texts))
+    path = queries.tokenizer_path()
+    assert sorted((r["doc_id"], r["n_tokens"]) for r in token_count.count_tokens(docs, path).collect()) == want
+    assert sorted((r["doc_id"], r["n_tokens"]) for r in bpe_codec.digests(docs, path).collect()) == want
+    coded = bpe_codec.encode(docs, path)
+    assert sorted((r["doc_id"], r["n_tokens"]) for r in coded.collect()) == want and coded.columns == ["doc_id", "text", "key", "ids", "n_tokens", "exact"]
+    for empty in (token_count.count_tokens(docs.limit(0), path), bpe_codec.digests(docs.limit(0), path), bpe_codec.encode(docs.limit(0), path)):
+        assert empty.count() == 0
+
+
+def test_language_cases(spark):
+    """Nothing to learn from, nothing to predict, repeated rows, columns with the names of results."""
+    docs = spark.createDataFrame([(1, "the cat and the dog", "en", 1.0), (1, "the cat and the dog", "en", 2.0), (2, "der Hund und die Katze", "de", 3.0), (3, None, "en", 4.0), (4, "12 34", None, 5.0)], "doc_id long, text string, lang string, score double")
+    model = language_id.fit(docs)
+    got = sorted((r["doc_id"], r["lang_pred"]) for r in language_id.predict(docs, model).collect())
+    assert got == [(1, "en"), (1, "en"), (2, "de"), (3, "und"), (4, "und")]
+    assert language_id.predict(docs.limit(0), model).count() == 0
+    nothing = language_id.fit(docs.limit(0))
+    assert {(r["lang_pred"], r["score"]) for r in language_id.predict(docs, nothing).collect()} == {("und", 0.0)}
+
+
+def test_url_clashing_columns(spark):
+    rules = [url_filter.Rule(text, verdict) for text, verdict in queries.RULES]
+    pages = spark.createDataFrame([(1, "http://a.com/en/1", "h", "p", "r"), (1, "http://a.com/en/1", "h", "p", "r"), (2, None, "h", "p", "r"), (3, "http://b.org/x", "h", "p", "r")], "page_id long, url string, host string, token string, rule string")
+    mined = url_filter.mine(pages.select("page_id", "url").withColumn("bad", F.lit(False)), "url", "bad")
+    rows = url_filter.judge(pages.select("page_id", "url"), rules, mined).collect()
+    assert sorted((r["page_id"], r["host"], r["rule"], r["verdict"]) for r in rows) == sorted([(1, "a.com", "com/en/", "block")] * 2 + [(2, "", None, "allow"), (3, "b.org", None, "allow")], key=str)
+
+
+def test_pipeline_stages_bear_odd_rows(spark, sf, tmp_path):
+    """Each stage over nulls, empty and repeated rows, a long text, and an empty table; all but the last keep the columns."""
+    import corpus_pipeline
+
+    given = table(spark, sf, "documents")
+    some = given.orderBy("doc_id").limit(20)
+    odd = some.withColumn("text", F.when(F.col("doc_id") % 5 == 0, F.lit(None)).when(F.col("doc_id") % 5 == 1, F.lit("")).when(F.col("doc_id") % 5 == 2, F.repeat(F.concat("text", F.lit("\n")), 300)).otherwise(F.col("text")))
+    odd = odd.union(odd).union(some.where("doc_id % 5 > 2").withColumn("text", F.lit(None).cast("string")))
+    odd.write.parquet(str(tmp_path / "odd"))
+    odd = spark.read.parquet(str(tmp_path / "odd"))
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, odd, sf)
+        assert out.count() <= odd.count(), name
+        assert stage(spark, odd.limit(0), sf).count() == 0, name
+        assert name == corpus_pipeline.STAGES[-1][0] or out.columns == given.columns, name
