@@ -6,10 +6,10 @@ symbol never followed it, an escape is paid and the next shorter context tried,
 escape probability of a context is distinct / (total + distinct) of its followers. The language whose
 tree gives the shortest code for the whole text wins.
 
-As the statistics are frozen, the code length of a symbol after any context is a constant. All of them are
-worked out once: one table leads from the last three bytes to a row (that of their longest suffix known to any
-language) and each row holds, per language, the cost of all 256 symbols. Scoring a text is then two array
-look-ups a byte, for all languages together.
+As the statistics are frozen, the code length of a symbol after any three bytes is a constant. Each language keeps only
+what it has seen: escapes of its contexts and costs of its grams, sorted, so its size follows its sample, whatever the
+number of languages. A portion of text is reduced to its distinct four-byte grams first; these are looked up by
+binary search, once a language, and their costs handed back to all places.
 
 Defined results: null texts and texts without a letter are `und` with score 0; with no labelled text at all
 every text is `und`; equal code lengths go to the language that sorts first; texts of any length are
@@ -35,7 +35,7 @@ SAMPLE_BYTES = 2_000_000
 CHUNKS = 500
 UNDETERMINED = "und"
 #: Texts are scored in portions of so many bytes.
-PORTION = 4_000_000
+PORTION = 1_000_000
 LETTER = regex.compile(r"\p{L}")
 
 
@@ -79,65 +79,76 @@ class Model:
     """Frozen statistics of all languages; the look-up tables are made where they are first used and don't travel."""
 
     def __init__(self, counts):
-        """counts: rows of gram_counts as a pandas frame; their number is bounded by the sample."""
+        """counts: rows of gram_counts as a pandas frame; their number is bounded by the sample of each language."""
         self.langs = sorted(counts["lang"].unique())
         self.grams = {(lang, int(n)): part.sort_values("gram")[["gram", "count"]].to_numpy(np.int64) for (lang, n), part in counts.groupby(["lang", "n"])}
         self.token = uuid.uuid4().hex
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k not in ("row_of", "cost")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("short", "long")}
 
     def prepare(self) -> None:
-        """Work out the tables: which row the last three bytes lead to, and the costs in each row."""
-        grams = self.grams
-        none = np.zeros((0, 2), np.int64)
-        contexts = {n: np.unique(np.concatenate([grams.get((lang, n + 1), none)[:, 0] >> 8 for lang in self.langs] or [none[:, 0]])) for n in range(1, ORDER + 1)}
-        n_rows = 1 + sum(map(len, contexts.values()))
-        cost = np.zeros((n_rows, 256, len(self.langs)), np.float32)
-        row_of = np.zeros(256, np.int32)  # by the last byte, then by the last two, then three
-        for n in range(ORDER + 1):
-            if n:
-                row_of = np.tile(row_of, 256) if n > 1 else np.zeros(256, np.int32)
-                first = 1 + sum(len(contexts[k]) for k in range(1, n))
-                above = row_of[contexts[n]] if n > 1 else np.zeros(len(contexts[n]), np.int32)
-                rows = np.arange(first, first + len(contexts[n]))
-                cost[rows] = cost[above]
-                row_of[contexts[n]] = rows
-            for k, lang in enumerate(self.langs):
-                got = grams.get((lang, n + 1), none)
-                if not len(got):
-                    if not n:
-                        cost[0, :, k] = 8.0
-                    continue
-                context, symbol, count = got[:, 0] >> 8, got[:, 0] & 255, got[:, 1].astype(np.float64)
-                seen, inverse = np.unique(context, return_inverse=True)
-                total, distinct = np.bincount(inverse, count), np.bincount(inverse)
-                at = row_of[seen] if n else np.zeros(len(seen), np.int64)
-                lower = cost[at, :, k] if n else np.full((1, 256), 8.0, np.float32)
-                cost[at, :, k] = lower + np.log2((total + distinct) / distinct)[:, None]  # escape, then shorter
-                cost[at[inverse], symbol, k] = np.log2((total + distinct)[inverse] / count)
-        self.row_of, self.cost = row_of.astype(np.int32), np.asfortranarray(cost.reshape(n_rows * 256, len(self.langs)))
+        """Work out, per language, the costs after at most one byte as a table and those after more as sorted arrays."""
+        self.short, self.long = [], []
+        for lang in self.langs:
+            levels = [frozen(self.grams.get((lang, n + 1), np.zeros((0, 2), np.int64))) for n in range(ORDER + 1)]
+            short = np.full((256, 256), 8.0, np.float32)
+            for n, (contexts, escapes, known, costs) in enumerate(levels[:2]):
+                rows = contexts if n else slice(None)
+                short[rows] += escapes[:, None]
+                short[(known >> 8, known & 255) if n else (slice(None), known)] = costs
+            self.short.append(short.ravel())
+            self.long.append(levels[2:])
+
+    def costs(self, k: int, grams: np.ndarray) -> np.ndarray:
+        """Bits of the last byte of each gram after the bytes before it, in language k."""
+        out = self.short[k][grams & 0xFFFF]
+        for n, (contexts, escapes, known, costs) in enumerate(self.long[k], 2):
+            if len(known):
+                tails = grams & np.uint32((1 << 8 * (n + 1)) - 1)
+                at, met = places(contexts, tails >> 8)
+                out = np.where(met, out + escapes[at], out)  # escape, then shorter
+                at, met = places(known, tails)
+                out = np.where(met, costs[at], out)
+        return out
 
     def lengths(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-        """(texts, languages): bits of each text."""
-        sizes = np.diff(offsets)
-        out = np.zeros((len(sizes), len(self.langs)))
-        filled = np.flatnonzero(sizes)
-        if not len(filled):
-            return out
-        # each text starts after zeros, so that none sees the bytes of another
-        place = offsets[:-1] + ORDER * np.arange(len(sizes))
-        padded = np.zeros(len(data) + ORDER * (len(sizes) + 1), np.int32)
-        at = np.arange(len(data)) + ORDER * np.repeat(np.arange(1, len(sizes) + 1), sizes)
-        padded[at] = data
-        index = (padded[at - 3] << 16) | (padded[at - 2] << 8) | padded[at - 1]
-        index = self.row_of[index].astype(np.int64) * 256 + data
-        starts = offsets[:-1][filled]
-        for k in range(len(self.langs)):
-            out[filled, k] = np.add.reduceat(self.cost[:, k][index], starts, dtype=np.float64)
+        """(texts, languages): bits of each text; a text beyond PORTION is summed portion by portion."""
+        out = np.zeros((len(offsets) - 1, len(self.langs)))
+        padded = np.concatenate([np.zeros(ORDER, np.uint8), data])
+        for lo in range(0, len(data), PORTION):
+            hi = min(lo + PORTION, len(data))
+            cut = np.clip(offsets, lo, hi)
+            sizes = np.diff(cut)
+            filled = np.flatnonzero(sizes)
+            depth = np.arange(lo, hi) - np.repeat(offsets[:-1], sizes)
+            grams = data[lo:hi].astype(np.uint32)
+            for back in range(1, ORDER + 1):  # each text starts after zeros, so that none sees the bytes of another
+                before = np.where(depth >= back, padded[lo + ORDER - back : hi + ORDER - back], 0)
+                grams |= before.astype(np.uint32) << np.uint32(8 * back)
+            order = np.sort(grams)
+            distinct = order[np.r_[True, order[1:] != order[:-1]]]
+            inverse = np.searchsorted(distinct, grams)  # few distinct ones: faster than sorting places along
+            for k in range(len(self.langs)):
+                out[filled, k] += np.add.reduceat(self.costs(k, distinct)[inverse], cut[filled] - lo, dtype=np.float64)
         return out
 
 
+def frozen(counted: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(contexts, their escapes in bits, grams, their costs in bits) of sorted (gram, count) rows of one length."""
+    known, count = counted[:, 0], counted[:, 1].astype(np.float64)
+    contexts, inverse = np.unique(known >> 8, return_inverse=True)
+    total, distinct = np.bincount(inverse, count, len(contexts)), np.bincount(inverse, minlength=len(contexts))
+    escapes, costs = np.log2((total + distinct) / distinct), np.log2((total + distinct)[inverse] / count)
+    return contexts.astype(np.uint32), escapes.astype(np.float32), known.astype(np.uint32), costs.astype(np.float32)
+
+
+def places(sorted_keys: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(place of each wanted key, whether it is there)."""
+    at = np.minimum(np.searchsorted(sorted_keys, wanted), len(sorted_keys) - 1)
+    return at, sorted_keys[at] == wanted
+
+
 def fit(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc_id", sample_bytes: int = SAMPLE_BYTES) -> Model:
     return Model(gram_counts(sample(labelled, text, lang, key, sample_bytes)).toPandas())
 
@@ -169,7 +180,7 @@ def judged(column: pa.Array, model: Model) -> list[tuple[str, float, float]]:
 
 def predict(docs: DataFrame, model: Model, text: str = "text", key: str = "doc_id") -> DataFrame:
     """key, lang_pred, score (share of the winner, if code lengths are read as probabilities) and bits_per_byte."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # a few MB, bounded by the sample
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # counts of the sample: a few MB a language at most
     kind = dict(docs.dtypes)[key]
 
     def each(batch):

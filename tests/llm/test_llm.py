@@ -5,6 +5,7 @@ import re
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -664,6 +665,22 @@ def test_near_dedup_stage_compares_texts(spark):
     assert {r["doc_id"] for r in corpus_pipeline.dedup_near(spark, docs_of(spark, docs), "").collect()} == {1, 2, 3}
 
 
+def test_language_models_grow_with_what_was_seen(spark, monkeypatch):
+    """A hundred languages stay small, each is told by its own words, and a text cut into portions keeps its length."""
+    words = {f"l{k:03d}": " ".join(f"{chr(97 + k % 26)}{chr(97 + (k * 7 + j) % 26)}{k:x}q{j % 5}" for j in range(40)) for k in range(100)}
+    train = spark.createDataFrame([(lang, text) for lang, text in words.items()], "lang string, text string")
+    model = language_id.prepared(language_id.Model(language_id.gram_counts(train).toPandas()))
+    assert sum(x.nbytes for levels in model.long for level in levels for x in level) <= 12 * sum(map(len, model.grams.values()))
+    assert sum(x.nbytes for x in model.short) == 100 * 256 * 256 * 4
+    column = pa.array([*words.values(), "".join(words.values()) * 3, "", None])
+    whole = language_id.judged(column, model)
+    assert [x[0] for x in whole[:100]] == list(words) and whole[-1] == ("und", 0.0, 0.0)
+    monkeypatch.setattr(language_id, "PORTION", 700)
+    cut = language_id.judged(column, model)
+    assert [x[0] for x in cut] == [x[0] for x in whole]
+    assert np.allclose([x[2] for x in cut], [x[2] for x in whole], rtol=1e-9)
+
+
 def test_language_sample_of_few_long_texts(spark):
     rows = [(k, f"text {lang} " * 20_000, lang) for k, lang in enumerate(["aa", "bb", "cc", "dd"])] + [(9, "short", "ee")]
     frame = spark.createDataFrame(rows, "doc_id long, text string, lang string")
