@@ -33,6 +33,9 @@ ORDER = 3
 SAMPLE_BYTES = 2_000_000
 #: Chunks in a full sample, more or less.
 CHUNKS = 500
+#: So many languages' sizes are handed to all tasks (a row each); more are joined by shuffle.
+SENT_LANGUAGES = 100_000
+SALTS = 256
 UNDETERMINED = "und"
 #: Texts are scored in portions of so many bytes.
 PORTION = 1_000_000
@@ -45,13 +48,26 @@ def sample(labelled: DataFrame, text: str, lang: str, key: str, most: int) -> Da
     Chunks are short against `most`, so a few very long texts are sampled as evenly as many short ones.
     """
     rows = labelled.select(F.col(text).alias("text"), F.col(lang).alias("lang"), F.col(key).cast("string").alias("key")).where("text is not null and lang is not null")
-    sizes = rows.groupBy("lang").agg(F.sum(F.octet_length("text")).alias("size"))
+    sized = beside_sizes(rows)
     share = F.lit(float(most)) / F.greatest("size", F.lit(1))
     chunk = max(most // CHUNKS, 1)
     hashed = lambda at: F.pmod(F.xxhash64("key", at), F.lit(1_000_003)) / 1_000_003.0
     starts = F.filter(F.sequence(F.lit(0), F.floor((F.greatest(F.char_length("text"), F.lit(1)) - 1) / chunk).cast("int")), lambda at: hashed(at) < share)
     parts = F.when(share >= 1, F.array("text")).otherwise(F.transform(starts, lambda at: F.substring("text", at * chunk + 1, F.lit(chunk))))
-    return rows.join(sizes, "lang").select("lang", F.explode(parts).alias("text"))
+    return sized.select("lang", F.explode(parts).alias("text"))
+
+
+def beside_sizes(rows: DataFrame) -> DataFrame:
+    """rows with `size`, the bytes of their language; texts stay where they are unless there are more than SENT_LANGUAGES languages.
+
+    Beyond that rows are joined by language and one of SALTS parts of it, so that no task holds a whole language.
+    """
+    sizes = rows.groupBy("lang").agg(F.sum(F.octet_length("text")).alias("size"))
+    few = sizes.limit(SENT_LANGUAGES + 1).collect()
+    if len(few) <= SENT_LANGUAGES:
+        return rows.join(F.broadcast(rows.sparkSession.createDataFrame(few, sizes.schema)), "lang")
+    parts = sizes.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))).alias("salt"))
+    return rows.withColumn("salt", F.pmod(F.xxhash64("key", "text"), F.lit(SALTS))).join(parts, ["lang", "salt"]).drop("salt")
 
 
 def gram_counts(rows: DataFrame) -> DataFrame:

@@ -688,6 +688,19 @@ def test_language_sample_of_few_long_texts(spark):
     assert got.pop("ee") == 5 and set(got) == {"aa", "bb", "cc", "dd"} and all(14_000 < n < 26_000 for n in got.values())
 
 
+def test_language_sample_moves_no_text_and_is_the_same_with_many_languages(spark, monkeypatch):
+    rows = [(k, f"words of text {k} " * 300, f"l{k % 3 if k % 2 else 0}") for k in range(40)] + [(50, None, "l0"), (51, "kept out", None), (52, "", "l1"), (1, "words of text 1 " * 300, "l1")]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    drawn = lambda: language_id.sample(frame, "text", "lang", "doc_id", 20_000)
+    few = drawn()
+    plan = few._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "hashpartitioning" not in plan
+    monkeypatch.setattr(language_id, "SENT_LANGUAGES", 2)
+    many = drawn()
+    assert few.count() > 0 and few.exceptAll(many).count() == many.exceptAll(few).count() == 0
+    assert language_id.sample(frame.limit(0), "text", "lang", "doc_id", 20_000).count() == 0
+
+
 # --- pipeline ---
 
 
