@@ -15,7 +15,7 @@ from ordwork.core.machine import LimitReached, Limits, run, shortest_paths
 from ordwork.core.ordering import Ordering, by_distance, chaotic, distance_bands, level_bands
 from ordwork.core.tiers import TierTree, tiered
 from ordwork.graph.model import EdgeSet
-from ordwork.sources.graphs import GRAPHS
+from ordwork.sources.graphs import GRAPHS, RMAT, rmat
 from ordwork.store import Store
 
 TIERS = (None, "task", "socket", "host")
@@ -24,7 +24,9 @@ REAL = {"trade": (3, 1), "handoff": (3, 1), "lattice": (25, 10), "copurchase": (
 
 
 def stored(spark: SparkSession, sf_dir: str, name: str) -> EdgeSet:
-    return EdgeSet(Store(spark, f"exp-{name}").save(GRAPHS[name](spark, sf_dir).edges, "edges"))
+    """Matrix graphs grow with the rows here; as queries they have the scale of their SQL."""
+    graph = rmat(spark, sf_dir, name, None) if name in RMAT else GRAPHS[name](spark, sf_dir)
+    return EdgeSet(Store(spark, f"exp-{name}").save(graph.edges, "edges"))
 
 
 def configuration(spark: SparkSession, graph: EdgeSet, name: str, ordering: Ordering, tier: str | None, repeat: int = 0, tree: TierTree | None = None, limits: Limits | None = None, mode: str = "drain") -> dict:

@@ -2,10 +2,7 @@
 
 from __future__ import annotations
 
-from ordwork.sources.graphs import RMAT
-
-#: Rows of lineitem decide the scale of the matrix graphs; SQL is written for one size.
-SCALE = 12
+from ordwork.sources.graphs import RMAT, SCALE
 
 
 def rmat_sql(name: str, scale: int = SCALE) -> str:

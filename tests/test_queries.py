@@ -38,6 +38,12 @@ def test_query(spark, sf, duck, name):
         assert sorted(key(r, frame.columns) for r in rows) == sorted(key(r, names) for r in found.fetchall())
 
 
+@pytest.mark.parametrize("name", ["graph_rmat1", "graph_rmat2", "in_degree_rmat1", "sssp_delta25_rmat1"])
+def test_matrix_graphs_have_the_scale_of_their_sql(spark, sf, duck, name):
+    """At every size: here there are 6,000 draws, for which the number of rows would give another scale."""
+    test_query(spark, sf, duck, name)
+
+
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
