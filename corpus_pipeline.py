@@ -32,7 +32,8 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def dedup_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest id of each near-duplicate group stays.
 
-    Texts link if their five-word shingles have Jaccard similarity NEAR_SIMILARITY or more; all such pairs are found or joined by others.
+    Texts link if their five-word shingles have Jaccard similarity NEAR_SIMILARITY or more. SimHash finds candidates that are verified by
+    their texts; an exact search finds what it misses, so all such pairs are found or joined by others.
     """
     return near_dedup.keep_one(docs, width=NEAR_WORDS, similarity=NEAR_SIMILARITY)
 

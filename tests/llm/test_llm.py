@@ -655,6 +655,22 @@ def test_near_dedup_stage_finds_all_similar(spark):
     assert corpus_pipeline.dedup_near(spark, docs_of(spark, docs).limit(0), "").count() == 0
 
 
+def test_near_dedup_leaves_little_to_the_exact_search(spark, monkeypatch):
+    """SimHash takes part, and texts that share only a passage with others give no rows to the index."""
+    import corpus_pipeline
+    from ordwork.llm import near_dedup
+
+    seen = {}
+    links, prefixes = simhash.links, near_dedup.prefixes
+    monkeypatch.setattr(simhash, "links", lambda *a: seen.setdefault("links", links(*a)))
+    monkeypatch.setattr(near_dedup, "prefixes", lambda *a: seen.setdefault("prefixes", prefixes(*a)))
+    shared = " ".join(f"s{k}" for k in range(20))
+    docs = [(k, shared + " " + " ".join(f"d{k}w{j}" for j in range(60))) for k in range(40)]
+    docs += [(40, docs[3][1] + " end"), (41, docs[5][1].upper())]
+    kept = {r["doc_id"] for r in corpus_pipeline.dedup_near(spark, docs_of(spark, docs), "").collect()}
+    assert kept == set(range(40)) and "links" in seen and seen["prefixes"].select("t").distinct().count() <= 2
+
+
 def test_near_dedup_stage_compares_texts(spark):
     import corpus_pipeline
 
