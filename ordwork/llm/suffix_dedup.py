@@ -17,8 +17,10 @@ Sorting every position would move many times the corpus. Three facts keep that d
 * A task settles equal runs of one batch itself. A string in a third of all texts therefore sends one row a batch to
   the sort, not one a text.
 
-Buckets that hold more than HOT rows (a phrase that very many texts share) are not ranked by a window, which would gather each in
-a task, but by partial aggregates whose one row a bucket is joined back.
+A pointer that more than HOT runs share (in a phrase of very many texts) would gather them in one task. Such runs are dealt by
+their content instead and taken to differ from others, which sends a few more to the positions and changes no result. What shares content
+is a row a portion. Only where more than HOT portions hold one pointer are rows ranked by partial aggregates that are
+stored and joined back, as all of them would then go through several shuffles.
 
 Defined results: null texts are empty; rows with a null id match nothing; rows that share an id but not the text are documents of their own,
 in the order of a hash of the text; rows that share both count as one document (equal starts aren't earlier) and lose the same bytes; texts shorter than LENGTH bytes stay; texts of any length are handled in
@@ -42,6 +44,8 @@ GRAM = 48
 PORTION = 750_000
 #: Rows of one bucket that a window may rank in one task.
 HOT = 500_000
+#: Portions that may send such a row each.
+HOT_PORTIONS = 500_000
 U = np.uint64
 PLACE = U(0xFFFFFF)
 
@@ -180,10 +184,12 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
             grams, counts = np.unique(runs.gram_id, return_counts=True)
             yield {"g": grams.view(np.int64), "c": counts.astype(np.int32)}
 
-    shared = map_batches(rows, pointers, "g bigint, c int").groupBy("g").agg(F.sum("c").alias("c")).where("c > 1")
+    shared = map_batches(rows, pointers, "g bigint, c int").groupBy("g").agg(F.sum("c").alias("c"), F.count("*").alias("portions")).where("c > 1")
     shared = scratch.save(shared, "shared")
-    n, most = shared.agg(F.count("*"), F.max("c")).first()
-    hot = (most or 0) > HOT  # strings in very many texts have a pointer in very many runs
+    n, most = shared.agg(F.count("*"), F.max("portions")).first()
+    hot = (most or 0) > HOT_PORTIONS
+    # at most one pointer for HOT runs, so far fewer than there are portions
+    crowded = np.sort(shared.where(F.col("c") > HOT).select("g").toPandas()["g"].to_numpy(np.int64))
     repeated = bloom.build(shared.select("g"), n)
     scratch.drop(shared)
 
@@ -193,9 +199,11 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
             g, k, ids, starts, n = runs.gram_id[at], runs.content(at), ids[at], starts[at], runs.size[at]
             late = settled((k, g), ids, starts)
             if len(g):
-                yield {"g": spread(g, late, ids, starts), "k": k.view(np.int64), "id": ids, "start": starts, "n": n.astype(np.int32), "late": late}
+                many = np.isin(g.view(np.int64), crowded)
+                g = np.where(many, pair(g, k), g)
+                yield {"g": spread(g, late, ids, starts), "k": k.view(np.int64), "id": ids, "start": starts, "n": n.astype(np.int32), "late": late, "many": many}
 
-    found = map_batches(rows, candidates, "g bigint, k bigint, id bigint, start bigint, n int, late boolean")
+    found = map_batches(rows, candidates, "g bigint, k bigint, id bigint, start bigint, n int, late boolean, many boolean")
     if hot:
         found = scratch.save(found, "found")
         firsts = scratch.save(found.groupBy("g", "k").agg(F.min(F.struct("id", "start")).alias("first")), "firsts")
@@ -203,8 +211,8 @@ def covered(docs: DataFrame, scratch: Scratch, text: str = "text", key: str = "d
         ranked = found.join(firsts.join(several, "g"), ["g", "k"]).withColumn("again", F.struct("id", "start") > F.col("first"))
     else:
         same, bucket = Window.partitionBy("g", "k").orderBy("id", "start"), Window.partitionBy("g")
-        ranked = found.withColumn("again", F.rank().over(same) > 1).withColumn("mixed", F.min("k").over(bucket) != F.max("k").over(bucket))
-    kept = ranked.where("late or again or mixed").select("id", "start", "n", (F.col("late") | F.col("again")).alias("late"))
+        ranked = found.withColumn("mixed", F.min("k").over(bucket) != F.max("k").over(bucket)).withColumn("again", F.rank().over(same) > 1)
+    kept = ranked.where("late or again or mixed or many").select("id", "start", "n", (F.col("late") | F.col("again")).alias("late"))
     runs_table = scratch.save(kept, "runs")
     open_runs = runs_table.where("not late").select("id", "start")
 

@@ -390,6 +390,20 @@ def test_suffix_dedup_repeated_ids_and_hot_buckets(spark, hot, monkeypatch):
     assert all(r["n_removed"] <= r["n_bytes"] for r in got)
 
 
+def test_suffix_dedup_crowded_pointers_store_no_rows(spark, monkeypatch):
+    """Pointers that very many runs share keep to the windows: the same bytes go, and candidates aren't stored to be ranked."""
+    passage = "".join(chr(97 + (k * k * 7 + k // 3) % 26) for k in range(180))
+    docs = [(k, f"{k} own start {k * 7919} " + passage + f" own end {k * 104729} " + (passage[:140] if k % 3 else "")) for k in range(30)]
+    want = sorted(map(tuple, suffix_dedup.digest(docs_of(spark, docs)).collect()))
+    names, save = [], Scratch.save
+    monkeypatch.setattr(Scratch, "save", lambda self, frame, name="t", *a: names.append(name) or save(self, frame, name, *a))
+    monkeypatch.setattr(suffix_dedup, "HOT", 1)
+    assert sorted(map(tuple, suffix_dedup.digest(docs_of(spark, docs)).collect())) == want and sum(r[2] for r in want) > 0
+    assert "found" not in names and "one" not in names
+    monkeypatch.setattr(suffix_dedup, "HOT_PORTIONS", 0)
+    assert sorted(map(tuple, suffix_dedup.digest(docs_of(spark, docs)).collect())) == want and {"found", "one"} <= set(names)
+
+
 def test_suffix_spans_and_edges(spark):
     text = hashlib.sha256(b"x").hexdigest() * 2 + "ab"
     text = text[:64] + hashlib.sha256(b"y").hexdigest() + "ab"
