@@ -37,6 +37,8 @@ EDGES = {
     "nation_ring": "SELECT n_nationkey::BIGINT AS src, ((n_nationkey + 1) % 25)::BIGINT AS dst, (1 + n_regionkey)::BIGINT AS w FROM nation",
     "toy": "SELECT * FROM (VALUES (0::BIGINT, 1::BIGINT, 4::BIGINT), (0, 2, 1), (2, 1, 2), (1, 3, 1), (2, 3, 5), (3, 4, 3), (5, 0, 1)) t(src, dst, w)",
 }
+SMALL = """SELECT src, dst, min(w)::BIGINT AS w FROM (
+  SELECT c_nationkey::BIGINT AS src, c_custkey % 25 AS dst, 1 + c_custkey % 97 AS w FROM customer) WHERE src <> dst GROUP BY src, dst"""
 PAGE_LINKS = """SELECT DISTINCT 'page:' || url AS page, 'token:' || token AS token FROM (SELECT url, unnest(regexp_extract_all(html, 'href="/([^"]*)"', 1)) AS token FROM pages)"""
 KNN = """SELECT src, dst, round(w, 6) AS w FROM (
   SELECT a.vec_id AS src, b.vec_id AS dst, 1 - list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) AS w,

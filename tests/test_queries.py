@@ -44,6 +44,19 @@ def test_matrix_graphs_have_the_scale_of_their_sql(spark, sf, duck, name):
     test_query(spark, sf, duck, name)
 
 
+def reads(spark, sf, duck, name, table, column, tmp_path):
+    """The query fails where its table is missing a column that it should read."""
+    con = duckdb.connect()
+    con.execute(f"COPY (SELECT * EXCLUDE ({column}) FROM '{sf}/{table}.parquet') TO '{tmp_path}/{table}.parquet' (FORMAT parquet)")
+    with pytest.raises(Exception, match=column):
+        entry.queries()[name](spark, str(tmp_path)).collect()
+    test_query(spark, sf, duck, name)
+
+
+def test_small_graph_reads_customers(spark, sf, duck, tmp_path):
+    reads(spark, sf, duck, "graph_toy", "customer", "c_custkey", tmp_path)
+
+
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
