@@ -57,6 +57,10 @@ def test_small_graph_reads_customers(spark, sf, duck, tmp_path):
     reads(spark, sf, duck, "graph_toy", "customer", "c_custkey", tmp_path)
 
 
+def test_axioms_read_lineitem(spark, sf, duck, tmp_path):
+    reads(spark, sf, duck, "order_axioms", "lineitem", "l_quantity", tmp_path)
+
+
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
