@@ -3,10 +3,14 @@
 from __future__ import annotations
 
 import heapq
+from collections.abc import Iterator
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import LongType, StructField, StructType
 
 from ordwork.core.machine import Machine, RunResult, run, shortest_paths
 from ordwork.core.ordering import chaotic, level_bands
@@ -15,27 +19,63 @@ from ordwork.graph.model import EdgeSet
 from ordwork.store import Store
 
 
-def dijkstra_local(graph: EdgeSet, source: int) -> DataFrame:
-    """(v, dist) by a sequential heap in one task: a reference for small graphs, by design not distributed."""
-
-    def search(edges: pd.DataFrame) -> pd.DataFrame:
-        out: dict = {}
-        near: dict = {}
-        for s, t, w in zip(edges["src"], edges["dst"], edges["w"], strict=True):
-            near.setdefault(s, []).append((t, w))
-        heap = [(0, source)]
-        while heap:
-            d, v = heapq.heappop(heap)
-            if v in out:
-                continue
-            out[v] = d
-            for t, w in near.get(v, ()):
-                if t not in out:
+def narrow(column: pa.Array) -> np.ndarray:
+    """Values in as few bytes as the whole numbers of a batch need."""
+    if pa.types.is_decimal(column.type):
+        return np.array(column.to_pylist(), object)
+    values = column.to_numpy(zero_copy_only=False)
+    if values.dtype.kind != "i" or not len(values):
+        return values
+    low, high = values.min(), values.max()  # signed kinds only, so that batches of several kinds stay whole numbers together
+    return values.astype(next((k for k in (np.int8, np.int16, np.int32) if np.iinfo(k).min <= low and high <= np.iinfo(k).max), np.int64))
+
+
+def search(batches: Iterator[pa.RecordBatch], source: int) -> dict:
+    """Distance by vertex over batches of edges (src, dst, w), sorted by src as far as may be: edges are flat arrays, vertices have ranges of them."""
+    starts: dict[int, list[tuple[int, int]]] = {}
+    to, weight, n = [], [], 0
+    for batch in batches:
+        src = batch.column(0).to_numpy()
+        first = np.flatnonzero(np.concatenate(([True], src[1:] != src[:-1]))) if len(src) else np.zeros(0, int)
+        for v, a, b in zip(src[first].tolist(), (first + n).tolist(), (np.append(first[1:], len(src)) + n).tolist(), strict=True):
+            starts.setdefault(v, []).append((a, b))
+        to.append(narrow(batch.column(1)))
+        weight.append(narrow(batch.column(2)))
+        n += len(src)
+    if not n:
+        return {}
+    to = np.concatenate(to)
+    weight = np.concatenate(weight)
+    out: dict = {}
+    best: dict = {source: 0}
+    heap = [(0, source)]
+    while heap:
+        d, v = heapq.heappop(heap)
+        if v in out:
+            continue
+        out[v] = d
+        for a, b in starts.get(v, ()):
+            for t, w in zip(to[a:b].tolist(), weight[a:b].tolist(), strict=True):
+                if t not in out and (t not in best or d + w < best[t]):
+                    best[t] = d + w
                     heapq.heappush(heap, (d + w, t))
-        return pd.DataFrame({"v": list(out), "dist": list(out.values())})
+    return out
+
+
+def dijkstra_local(graph: EdgeSet, source: int) -> DataFrame:
+    """(v, dist) by a sequential heap in one task: a reference for small graphs, by design not distributed.
+
+    The task gets the edges in batches and keeps about eight bytes of each, where ids and weights are small.
+    """
+    kind = StructType([StructField("v", LongType()), StructField("dist", graph.weight_type)])
+    schema = to_arrow_schema(kind)
+
+    def each(batches):
+        found = search(batches, source)
+        if found:
+            yield pa.RecordBatch.from_arrays([pa.array(list(found), schema.field("v").type), pa.array(list(found.values()), schema.field("dist").type)], schema=schema)
 
-    kind = graph.weight_type.simpleString()
-    return graph.edges.withColumn("all", F.lit(0)).groupBy("all").applyInPandas(search, f"v long, dist {kind}")
+    return graph.edges.select("src", "dst", "w").repartition(1).sortWithinPartitions("src").mapInArrow(each, kind)
 
 
 def level_synchronous(spark: SparkSession, graph: EdgeSet, source: int) -> RunResult:

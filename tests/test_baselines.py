@@ -153,3 +153,30 @@ def test_a_trigger_is_a_hop(spark):
     edges = spark.createDataFrame([(0, 1, 2), (1, 2, 2), (2, 3, 2), (0, 3, 9)], "src long, dst long, w long")
     state, triggers = hop_by_trigger(spark, edges, 0)
     assert {r["v"]: r["dist"] for r in state.collect()} == {0: 0, 1: 2, 2: 4, 3: 6} and triggers == 4
+
+
+def test_sequential_search_reads_batches(spark):
+    """No group of all edges is handed over at once; weights of every kind, a source without edges, no edges."""
+    from ordwork.graph.model import EdgeSet
+
+    for kind in ("long", "double", "decimal(10,2)"):
+        edges = spark.range(2000).selectExpr("id % 200 as src", "(id * 7 + 1) % 200 as dst", f"cast(1 + id % 300 as {kind}) as w")
+        rows = others.dijkstra_local(EdgeSet(edges), 0)
+        plan = rows._jdf.queryExecution().executedPlan().toString()
+        assert "MapInArrow" in plan and "FlatMapGroups" not in plan
+        best, todo = {0: 0}, [0]
+        near = {}
+        for e in edges.collect():
+            near.setdefault(e["src"], []).append((e["dst"], e["w"]))
+        while todo:
+            v = todo.pop()
+            for t, w in near.get(v, ()):
+                if t not in best or best[v] + w < best[t]:
+                    best[t] = best[v] + w
+                    todo.append(t)
+        assert {r["v"]: r["dist"] for r in rows.collect()} == best
+    far = (1 << 62) + 1
+    wide = spark.createDataFrame([(0, far, 3), (far, -5, (1 << 60) + 1), (-5, 7, 2)], "src long, dst long, w long")
+    assert {r["v"]: r["dist"] for r in others.dijkstra_local(EdgeSet(wide), 0).collect()} == {0: 0, far: 3, -5: (1 << 60) + 4, 7: (1 << 60) + 6}
+    assert [tuple(r) for r in others.dijkstra_local(EdgeSet(edges), 999).collect()] == [(999, 0)]
+    assert others.dijkstra_local(EdgeSet(edges.limit(0)), 0).count() == 0
