@@ -129,6 +129,15 @@ def test_url_rules(spark, sf):
         assert r["rule"] == rule and (rule is None or r["verdict"] == verdict)
 
 
+def test_url_query_follows_the_contract(spark, tmp_path):
+    """Rules and words of the contract, written out here."""
+    urls = ["http://a.com/en/1", "http://EXAMPLE.com/en/7", "http://b.net/de/1", "http://example.net/de/8/x", "http://c.org/es/", "http://c.org/x"]
+    spark.createDataFrame(list(enumerate(urls)), "page_id long, url string").write.parquet(f"{tmp_path}/pages.parquet")
+    spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    got = sorted((r["page_id"], r["rule"], r["verdict"]) for r in queries.url_filter(spark, str(tmp_path)).collect())
+    assert [x[1:] for x in got] == [("com/en/", "block"), ("example.com/en/7", "allow"), ("net/de/", "allow"), ("example.net/de/8", "block"), ("org/es/", "block"), (None, "allow")]
+
+
 def brute_rules(baskets, least, confidence):
     """Token sets that say `bad` by support and confidence, without those that a smaller one is as good as."""
     from collections import Counter
