@@ -1,18 +1,21 @@
-"""Main text of web pages by wrappers: union-free regular expressions inferred from pages of one host.
-
-A page is a stream of tokens: tags and texts, each with the path of the elements around it. Of each host up to SAMPLE
-pages are aligned one after the other. Inside a page, neighbouring sequences of one shape fold into a repeated group; between
-pages, what only one side has becomes an optional group, and texts that differ become slots, while texts that stay the same on all
-pages that have them remain template. The result, the host's wrapper, has tokens, template texts, slots, optional and repeated groups but no alternatives.
+"""Main text of web pages by wrappers: union-free regular expressions inferred from all pages of one host.
+
+A page is a stream of tokens: tags and texts, each with the path of the elements around it. Inside a page, neighbouring sequences of
+one shape fold into a repeated group. Pages of a host that fold alike are one class, whose texts are compared place by place; classes are
+aligned one after the other. What only one side has becomes optional, and texts that differ become slots, while texts that stay the
+same on all pages that have their place remain template. Where alignment would have a token more often than either side has it, as sides order
+their parts differently, two that are near and all between become a free group: any number of its tokens in any order. So a wrapper has
+no token more often than some page of the host, however many pages there are. It has tokens, template texts, slots, optional, repeated and free groups but no alternatives.
 A text is main text if it stands in a slot, in no menu, header, footer, sidebar, notice, advert, form, script, style or comment, and
-inside the article (or main part) if the wrapper has one. A text is template where at least TEMPLATE_PAGES different pages had it in one place;
-on a page of which template would take most and more than TEMPLATE_WORDS words, or all, the host's sample was of copies, and
-everything counts as slots. Every page is matched with its host's wrapper; one that doesn't match is aligned with it as in
+inside the article (or main part) if the wrapper has one. A text is template where at least TEMPLATE_PAGES different pages had it in one place,
+and TEMPLATE_PAGES of every TEMPLATE_OF pages of the host; on a page of which template would take most and more than TEMPLATE_WORDS words, or all,
+the host's pages were copies, and everything counts as slots. Every page is matched with its host's wrapper; one that doesn't match is aligned with it as in
 inference, which generalises the wrapper for it.
 
 Paths are chained digests with a few flags, so deep nesting costs no more than flat pages.
 
-The sample of a host is taken by partial aggregates in SAMPLE buckets by hash, so no host gathers in a task. Wrappers are
+Each task merges the pages of a class that it reads; what is merged doesn't depend on the order. The classes of a host are aligned in
+CLASS_BUCKETS parts, and then those with each other, both in the order of digests. No task gathers a host's pages. Wrappers are
 joined to the pages by host, which adaptive execution broadcasts or splits.
 
 Defined results: null pages and pages without main text give the empty text; a page without any tag is one block; tags that
@@ -29,18 +32,23 @@ import json
 import operator
 import re
 from collections import Counter
+from collections.abc import Iterator
+from functools import cached_property
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ordwork.llm.common import Scratch, map_batches
 from ordwork.llm.url_filter import host_of
 
-SAMPLE = 8
 LONGEST_GROUP = 8
-TEMPLATE_PAGES = 3
+TEMPLATE_PAGES, TEMPLATE_OF = 3, 8
 TEMPLATE_WORDS = 100
-#: Parts a text's shape from the number of pages that had the text, and that from the text.
+CLASS_BUCKETS = 32
+#: A task hands on its classes when they have so many elements, and places are forgotten when there are so many.
+MOST_HELD = 200_000
+#: Parts a text's shape from the number of pages that had the text, that from digests of some of them, and those from the text's digest.
 BAR = "\x01"
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(script|style|noscript|template|textarea|svg|iframe)\b[^>]*>.*?(?:</\1\s*>|\Z)|</?[a-zA-Z][^<>]*(?:>|\Z)|[^<]+|<", re.S | re.I)
 TAG = re.compile(r"</?([a-zA-Z][a-zA-Z0-9:-]*)")
@@ -75,7 +83,7 @@ def marked(tag: str, name: str, by_name: bool = True) -> str:
 class Place:
     """Where in a page: digests of all elements around and of the blocks among them, and what there is to know of them."""
 
-    __slots__ = ("name", "shown", "path", "blocks", "flags")
+    __slots__ = ("name", "shown", "path", "blocks", "flags", "opened", "closed", "text", "below")
 
     def __init__(self, above: Place | None, name: str, shown: str):
         self.name, self.shown = name, shown
@@ -84,22 +92,35 @@ class Place:
         flags = set(above.flags if above else "")
         flags |= {f for f, on in (("!", shown[-1:] == "!"), ("m", shown in ("article", "main")), ("p", name == "p")) if on}
         self.flags = "".join(sorted(flags))
+        self.opened, self.closed, self.text = (f"{kind}{self.flags}/{self.path}/{self.blocks}/{self.shown}" for kind in "+-#")
+        self.below: dict[str, Place] = {}
 
-    def shape(self, kind: str) -> str:
-        return f"{kind}{self.flags}/{self.path}/{self.blocks}/{self.shown}"
+    def inside(self, name: str, shown: str) -> Place:
+        """The place of an element in this one; made once, as pages of one host share most places."""
+        found = self.below.get(shown)
+        if found is None:
+            found = self.below[shown] = Place(self, name, shown)
+            ROOT[1] += 1
+        return found
 
 
 def digest(above: str, name: str) -> str:
     return hashlib.blake2b(f"{above}/{name}".encode(), digest_size=6).hexdigest()
 
 
+#: The place around all others, and the number of places made in it.
+ROOT = [Place(None, "", ""), 0]
+
+
 def flags_of(shape: str) -> str:
     return shape[1 : shape.index("/")]
 
 
 def tokens(page: str, by_name: bool = True, white_space: bool = False) -> list[tuple[str, str]]:
     """(shape, text): shape is `+place`, `-place` or `#place`; text is empty for tags. Alignment sees no white space outside paragraphs, texts need all of it."""
-    root = Place(None, "", "")
+    if ROOT[1] > MOST_HELD:
+        ROOT[:] = [Place(None, "", ""), 0]
+    root = ROOT[0]
     stack: list[Place] = []
     is_open: Counter = Counter()
     out = []
@@ -119,7 +140,7 @@ def tokens(page: str, by_name: bool = True, white_space: bool = False) -> list[t
         t = m[0]
         here = stack[-1] if stack else root
         if t[0] != "<" or t == "<":
-            shape = here.shape("#")
+            shape = here.text
             if t.strip():
                 out.append((shape, t))
             elif out and out[-1][0] == shape:
@@ -133,7 +154,7 @@ def tokens(page: str, by_name: bool = True, white_space: bool = False) -> list[t
         if t[1] == "/":
             at = last((name,))
             if at is not None:
-                out.append((stack[at].shape("-"), ""))
+                out.append((stack[at].closed, ""))
                 close(at)
             continue
         if name in BLOCK and is_open["p"]:  # an open paragraph ends before a block
@@ -147,11 +168,11 @@ def tokens(page: str, by_name: bool = True, white_space: bool = False) -> list[t
                 close(at)
         here = stack[-1] if stack else root
         if name in VOID or t.endswith("/>"):
-            out.append((Place(here, name, name).shape("+"), ""))
+            out.append((here.inside(name, name).opened, ""))
             continue
-        stack.append(Place(here, name, marked(t, name, by_name)))
+        stack.append(here.inside(name, marked(t, name, by_name)))
         is_open[name] += 1
-        out.append((stack[-1].shape("+"), ""))
+        out.append((stack[-1].opened, ""))
     return out if white_space else aligned(out)
 
 
@@ -164,64 +185,76 @@ def squeezed(text: str) -> str:
     return " ".join(html.unescape(text).split())
 
 
-def first_seen(found: list[tuple[str, str]]) -> list[str]:
+def named(text: str) -> str:
+    """Digest of a squeezed text, or nothing if it is empty."""
+    return hashlib.blake2b(text.encode("utf-8", "surrogatepass"), digest_size=8).hexdigest() if text else ""
+
+
+def first_seen(page: str) -> list[str]:
     """Elements of a wrapper from one page: texts are what one page had."""
-    return [f"{shape}{BAR}1{BAR}{squeezed(text)}" if shape[0] == "#" else shape for shape, text in found]
+    one = hashlib.blake2b(page.encode("utf-8", "surrogatepass"), digest_size=8).hexdigest()
+    return [f"{shape}{BAR}1{BAR}{one}{BAR}{had}" if shape[0] == "#" and (had := named(squeezed(text))) else shape for shape, text in tokens(page)]
 
 
 def meet(x: str, y: str, pages: bool) -> str:
     """One text element for two: the text if they agree (counted together if they are of different pages), else a slot."""
-    if x == y and BAR not in x:
+    if BAR not in x and BAR not in y:
         return x
-    shape, *a = x.split(BAR, 2)
-    _, *b = y.split(BAR, 2)
-    if not a or not b or a[1] != b[1]:
+    shape, *a = x.split(BAR)
+    _, *b = y.split(BAR)
+    if len(a) != 3 or len(b) != 3 or a[2] != b[2]:
         return shape
     n = int(a[0]) + int(b[0]) if pages else max(int(a[0]), int(b[0]))
-    return f"{shape}{BAR}{n}{BAR}{a[1]}"
+    # the first few in order are enough to know of TEMPLATE_PAGES different ones, whatever is merged first
+    some = a[1] if a[1] == b[1] else ",".join(sorted({*a[1].split(","), *b[1].split(",")})[:TEMPLATE_PAGES])
+    return f"{shape}{BAR}{n}{BAR}{some}{BAR}{a[2]}"
 
 
-def proved(parts: list) -> list:
-    """parts with texts that fewer than TEMPLATE_PAGES pages had as slots."""
+def proved(parts: list, pages: int) -> list:
+    """parts with texts that too few of the host's pages had as slots, and of other texts only their digests."""
     def one(x):
         if isinstance(x, tuple):
-            return (x[0], tuple(proved(x[1])))
-        shape, *rest = x.split(BAR, 2)
-        return x if rest and int(rest[0]) >= TEMPLATE_PAGES and rest[1] else shape
+            return (x[0], tuple(proved(x[1], pages)))
+        shape, *rest = x.split(BAR)
+        known = rest and rest[1].count(",") + 1 >= TEMPLATE_PAGES and int(rest[0]) * TEMPLATE_OF >= pages * TEMPLATE_PAGES
+        return f"{shape}{BAR}{rest[2]}" if known else shape
 
     return [one(x) for x in parts]
 
 
-# An element of a wrapper is a shape (of a text that is no slot with the number of its pages and itself), or ("+", parts) for a repeated or ("?", parts) for an optional group.
+# An element of a wrapper is a shape (of a text that is no slot with its pages and itself), or ("+", parts) for a repeated, ("?", parts) for an optional or ("*", shapes) for a free group.
 
 
 def core(x):
     """What an element is without its quantifiers."""
     while isinstance(x, tuple):
+        if x[0] == "*":
+            return ("*", *(core(y) for y in x[1]))
         if len(x[1]) > 1:
             return tuple(core(y) for y in x[1])
         x = x[1][0]
     return x.partition(BAR)[0]
 
 
-def unite(x, y, pages: bool):
-    """The element that stands for both x and y, which have one core; pages: whether they are of different pages."""
-    quantifiers = set()
-    while isinstance(x, tuple) and (x[0] == "?" or len(x[1]) == 1):
+def bare(x, quantifiers: set):
+    """x without the quantifiers of a single part, which are added to quantifiers; a group of several parts keeps one."""
+    while isinstance(x, tuple) and x[0] != "*" and (x[0] == "?" or len(x[1]) == 1):
         quantifiers.add(x[0])
         if len(x[1]) > 1:
-            x = ("=", x[1])
-            break
+            return ("=", x[1])
         x = x[1][0]
-    while isinstance(y, tuple) and (y[0] == "?" or len(y[1]) == 1):
-        quantifiers.add(y[0])
-        if len(y[1]) > 1:
-            y = ("=", y[1])
-            break
-        y = y[1][0]
+    return x
+
+
+def unite(x, y, pages: bool):
+    """The element that stands for both x and y, which have one core; pages: whether they are of different pages."""
+    quantifiers: set = set()
+    x, y = bare(x, quantifiers), bare(y, quantifiers)
     if isinstance(x, tuple):
-        quantifiers |= {x[0], y[0]} & {"+"}
         parts = tuple(unite(a, b, pages) for a, b in zip(x[1], y[1], strict=True))
+        if x[0] == "*":
+            return ("*", parts)
+        quantifiers |= {x[0], y[0]} & {"+"}
     else:
         parts = (meet(x, y, pages),)
     out = ("+", parts) if "+" in quantifiers else parts[0] if len(parts) == 1 else None
@@ -232,18 +265,19 @@ def unite(x, y, pages: bool):
 
 def fold(parts: list) -> list:
     """Fold neighbouring sequences of one core into repeated groups, short ones first, until nothing folds."""
+    cores = [core(x) for x in parts]
     again = True
     while again:
         again = False
         for size in range(1, LONGEST_GROUP + 1):
-            cores = [core(x) for x in parts]
             if not any(map(operator.eq, cores, cores[size:])):
                 continue
             out, i = [], 0
             while i < len(parts):
                 n = 1
-                while cores[i : i + size] == cores[i + n * size : i + (n + 1) * size] and len(cores[i : i + size]) == size:
-                    n += 1
+                if i + size < len(parts) and cores[i] == cores[i + size]:
+                    while cores[i : i + size] == cores[i + n * size : i + (n + 1) * size] and len(cores[i : i + size]) == size:
+                        n += 1
                 if n == 1:
                     out.append(parts[i])
                     i += 1
@@ -251,31 +285,33 @@ def fold(parts: list) -> list:
                 group = parts[i : i + size]
                 for k in range(1, n):
                     group = [unite(a, b, False) for a, b in zip(group, parts[i + k * size : i + (k + 1) * size], strict=True)]
-                out.append(("+", tuple(group)))
+                out.append(group[0] if size == 1 and isinstance(group[0], tuple) and group[0][0] == "*" else ("+", tuple(group)))
                 i += n * size
-                again = True
-            parts = out
+            if len(out) < len(parts):
+                parts, cores, again = out, [core(x) for x in out], True
     return parts
 
 
-def groups_in(parts) -> dict[tuple, str]:
-    """Core and quantifier of every group of several parts; repeated wins over optional."""
-    out: dict[tuple, str] = {}
+def groups_in(parts) -> set[tuple]:
+    """Core of every repeated group of several parts."""
+    out: set[tuple] = set()
     for x in parts:
-        if isinstance(x, tuple):
-            out |= {k: v for k, v in groups_in(x[1]).items() if out.get(k) != "+"}
-            if len(x[1]) > 1 and out.get(core(x)) != "+":
-                out[core(x)] = x[0]
+        if isinstance(x, tuple) and x[0] != "*":
+            out |= groups_in(x[1])
+            if len(x[1]) > 1:
+                out.add(core(x))
     return out
 
 
-def gather(parts: list, groups: dict[tuple, str]) -> list:
+def gather(parts: list, groups: set[tuple]) -> list:
     """parts with plain sequences turned into the groups that they are one occurrence of, long ones first."""
     for want in sorted(groups, key=lambda g: (-len(g), repr(g))):
         cores, out, i = [core(x) for x in parts], [], 0
+        if want[0] not in cores:
+            continue
         while i < len(parts):
-            if tuple(cores[i : i + len(want)]) == want:
-                out.append((groups[want], tuple(parts[i : i + len(want)])))
+            if cores[i] == want[0] and tuple(cores[i : i + len(want)]) == want:
+                out.append(("+", tuple(parts[i : i + len(want)])))
                 i += len(want)
             else:
                 out.append(parts[i])
@@ -286,6 +322,7 @@ def gather(parts: list, groups: dict[tuple, str]) -> list:
 
 def align(a: list, b: list) -> list:
     """Wrapper for all that a and b stand for: what only one has becomes optional."""
+    most = tally(a) | tally(b)
     groups = groups_in([*a, *b])
     a, b = gather(a, groups), gather(b, groups)
     ka, kb = [repr(core(x)) for x in a], [repr(core(x)) for x in b]
@@ -294,12 +331,29 @@ def align(a: list, b: list) -> list:
         if kind == "equal":
             out += [unite(x, y, True) for x, y in zip(a[i:j], b[k:m], strict=True)]
         else:
-            for part in (a[i:j], b[k:m]):
-                if len(part) == 1 and isinstance(part[0], tuple) and part[0][0] == "?":
-                    out.append(part[0])
-                elif part:
-                    out.append(("?", tuple(part)))
-    return fold(out)
+            out += [x if isinstance(x, tuple) and x[0] in "?*" else ("?", (x,)) for x in (*a[i:j], *b[k:m])]
+    return freed(fold(out), most)
+
+
+def tally(parts: list) -> Counter:
+    """How often each shape is written in parts."""
+    return Counter(x.partition(BAR)[0] for x in shapes_in(parts))
+
+
+def freed(parts: list, most: Counter) -> list:
+    """parts with free groups where a shape is written more often than `most` says: over the two with the fewest parts that every page has, and all between."""
+    while True:
+        have = tally(parts)
+        over = next((s for s, n in have.items() if n > most[s]), None)
+        if over is None:
+            return parts
+        at = [i for i, x in enumerate(parts) if over in tally([x])]
+        kept = [not (isinstance(x, tuple) and x[0] in "?*") for x in parts]
+        first, last = min(zip(at, at[1:]), key=lambda x: (sum(kept[x[0] : x[1] + 1]), x[1] - x[0]), default=(at[0], at[0]))
+        shapes: dict[str, str] = {}
+        for x in shapes_in(parts[first : last + 1]):
+            shapes[s] = meet(shapes[s], x, False) if (s := x.partition(BAR)[0]) in shapes else x
+        parts = [*parts[:first], ("*", tuple(shapes[s] for s in sorted(shapes))), *parts[last + 1 :]]
 
 
 def shapes_in(parts) -> list[str]:
@@ -313,15 +367,25 @@ class Wrapper:
         self.parts = parts
         found = shapes_in(parts)
         self.symbols = {s: chr(FIRST_SYMBOL + k) if k < 0x1000 else chr(0x10000 + k) for k, s in enumerate(dict.fromkeys(core(x) for x in found))}
-        self.template = frozenset((x.partition(BAR)[0], x.split(BAR, 2)[2]) for x in found if BAR in x)
-        self.match = re.compile(self.written(parts)).fullmatch
+        self.template = frozenset(tuple(x.split(BAR)) for x in found if BAR in x)
         texts = [s for s in self.symbols if s[0] == "#" and "!" not in flags_of(s)]
         inner = [s for s in texts if "m" in flags_of(s)]
         self.main = frozenset(inner or texts)
 
+    @cached_property
+    def match(self):
+        return re.compile(self.written(self.parts)).fullmatch
+
     def written(self, parts) -> str:
         # possessive groups keep matching linear; a page they miss is aligned instead
-        return "".join(re.escape(self.symbols[core(x)]) if isinstance(x, str) else f"(?:{self.written(x[1])})" + ("++" if x[0] == "+" else "?+") for x in parts)
+        def one(x) -> str:
+            if isinstance(x, str):
+                return re.escape(self.symbols[core(x)])
+            if x[0] == "*":
+                return f"[{self.written(x[1])}]*+"
+            return f"(?:{self.written(x[1])})" + ("++" if x[0] == "+" else "?+")
+
+        return "".join(one(x) for x in parts)
 
     def fits(self, shapes: list[str]) -> bool:
         try:
@@ -330,13 +394,42 @@ class Wrapper:
             return False
 
 
+class Classes:
+    """Pages that fold alike, merged: (host, digest of what they fold to) -> (number of pages, wrapper parts)."""
+
+    def __init__(self):
+        self.found: dict[tuple, tuple[int, list]] = {}
+        self.held = 0
+
+    def add(self, host: str | None, page: str) -> None:
+        parts = fold(first_seen(page))
+        key = hashlib.blake2b(repr([core(x) for x in parts]).encode(), digest_size=12).hexdigest()
+        self.merge((host, key), 1, parts)
+
+    def merge(self, key: tuple, n: int, parts: list) -> None:
+        if key in self.found:
+            m, others = self.found[key]
+            self.found[key] = (m + n, [unite(x, y, True) for x, y in zip(others, parts, strict=True)])
+        else:
+            self.found[key] = (n, parts)
+            self.held += len(shapes_in(parts))
+
+    def aligned(self) -> tuple[int, list]:
+        """Number of pages and wrapper parts of all classes, aligned in the order of their keys."""
+        n, parts = 0, None
+        for key in sorted(self.found):
+            m, others = self.found[key]
+            n, parts = n + m, others if parts is None else align(parts, others)
+        return n, parts or []
+
+
 def infer(pages: list[str]) -> list:
-    """Wrapper parts from pages of one host, in the order given; equal pages count once."""
-    parts: list | None = None
+    """Wrapper parts from pages of one host; equal pages count once."""
+    classes = Classes()
     for page in dict.fromkeys(pages):
-        found = fold(first_seen(tokens(page)))
-        parts = found if parts is None else align(parts, found)
-    return proved(parts or [])
+        classes.add("", page)
+    n, parts = classes.aligned()
+    return proved(parts, n)
 
 
 def extract(page: str, wrapper: Wrapper) -> str:
@@ -354,7 +447,7 @@ def extracted(page: str, wrapper: Wrapper, by_name: bool) -> str:
         wrapper = Wrapper(fold(shapes))
     if template:
         texts = [(s, squeezed(t)) for s, t in found if s in wrapper.main]
-        removed = sum(len(t.split()) for s, t in texts if (s, t) in template)
+        removed = sum(len(t.split()) for s, t in texts if (s, named(t)) in template)
         left = sum(len(t.split()) for _, t in texts) - removed
         if not left or removed > max(left, TEMPLATE_WORDS):
             template = frozenset()
@@ -369,7 +462,7 @@ def extracted(page: str, wrapper: Wrapper, by_name: bool) -> str:
                 now.append(" ")
         elif not text.strip() and "!" not in flags_of(shape):  # parts inline texts, whatever is main
             now.append(" ")
-        elif shape in wrapper.main and not (template and (shape, squeezed(text)) in template):
+        elif shape in wrapper.main and not (template and (shape, named(squeezed(text))) in template):
             place = shape.split("/")[2]
             if "".join(now).strip() and place != at:
                 blocks.append(now)
@@ -381,26 +474,58 @@ def extracted(page: str, wrapper: Wrapper, by_name: bool) -> str:
     return "\n".join(b for b in joined if b)
 
 
-def wrappers(pages: DataFrame, url: str = "url", page: str = "html", key: str = "page_id") -> DataFrame:
-    """(host, wrapper): the wrapper of each host as JSON."""
-    rows = pages.where(F.col(page).isNotNull()).select(host_of(F.col(url)).alias("host"), F.xxhash64(F.col(key), F.col(url)).alias("h"), F.col(page).alias("page"))
-    chosen = rows.groupBy("host", F.pmod("h", F.lit(SAMPLE)).alias("bucket")).agg(F.min_by("page", F.struct("h", "page")).alias("page"))
+def wrappers(pages: DataFrame, url: str = "url", page: str = "html") -> DataFrame:
+    """(host, wrapper): the wrapper of each host, from all its pages, as JSON."""
+    rows = pages.where(F.col(page).isNotNull()).select(host_of(F.col(url)).alias("host"), F.col(page).alias("page"))
 
-    def each(frame):
-        ordered = frame.sort_values("bucket")["page"].tolist()
-        return frame.head(1).assign(wrapper=json.dumps(infer(ordered)))[["host", "wrapper"]]
+    def merge_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        classes = Classes()
 
-    return chosen.groupBy("host").applyInPandas(each, "host string, wrapper string")
+        def taken() -> pa.RecordBatch:
+            found = [(host, key, n, json.dumps(parts)) for (host, key), (n, parts) in classes.found.items()]
+            return pa.RecordBatch.from_arrays([pa.array(x, kind) for x, kind in zip(zip(*found, strict=True), (pa.string(), pa.string(), pa.int64(), pa.string()), strict=True)], names=["host", "key", "n", "parts"])
 
+        for batch in batches:
+            for host, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                classes.add(host, text.as_py())
+                if classes.held > MOST_HELD:
+                    yield taken()
+                    classes = Classes()
+        if classes.found:
+            yield taken()
 
-def loaded(text: str | None) -> Wrapper:
+    def align_part(frame):
+        classes = Classes()
+        for key, n, parts in zip(frame["key"], frame["n"], frame["parts"], strict=True):
+            classes.merge((key,), int(n), parts_of(parts))
+        n, parts = classes.aligned()
+        return frame.head(1).assign(n=n, parts=json.dumps(parts))[["host", "bucket", "n", "parts"]]
+
+    def align_host(frame):
+        n, parts = 0, None
+        for m, others in frame.sort_values("bucket")[["n", "parts"]].itertuples(index=False):
+            n, parts = n + int(m), parts_of(others) if parts is None else align(parts, parts_of(others))
+        return frame.head(1).assign(wrapper=json.dumps(proved(parts, n)))[["host", "wrapper"]]
+
+    classes = rows.mapInArrow(merge_task, "host string, key string, n long, parts string").withColumn("bucket", F.pmod(F.xxhash64("key"), F.lit(CLASS_BUCKETS)))
+    # by number, as adaptive execution would put these few rows with much work each into one task
+    tasks = int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    parts = classes.repartition(tasks, "host", "bucket").groupBy("host", "bucket").applyInPandas(align_part, "host string, bucket long, n long, parts string")
+    return parts.repartition(tasks, "host").groupBy("host").applyInPandas(align_host, "host string, wrapper string")
+
+
+def parts_of(text: str) -> list:
     group = lambda x: x if isinstance(x, str) else (x[0], tuple(group(y) for y in x[1]))
-    return Wrapper([group(x) for x in json.loads(text or "[]")])
+    return [group(x) for x in json.loads(text)]
+
+
+def loaded(text: str | None) -> Wrapper:
+    return Wrapper(parts_of(text or "[]"))
 
 
 def main_text(pages: DataFrame, url: str = "url", page: str = "html", key: str = "page_id") -> DataFrame:
     """key, url and text of every page."""
-    found = Scratch(pages.sparkSession, "wrappers").save(wrappers(pages, url, page, key), "wrappers")
+    found = Scratch(pages.sparkSession, "wrappers").save(wrappers(pages, url, page), "wrappers")
     rows = pages.select(F.col(key).alias("key"), F.col(url).alias("url"), F.col(page).alias("page"), host_of(F.col(url)).alias("host"))
     joined = rows.join(found, "host", "left").select("key", "url", "page", "wrapper")
     kind = dict(pages.dtypes)[key]

@@ -518,6 +518,48 @@ def test_wrapper_generalises():
     assert not wrapper.fits(shapes("<table><tr><td>x</td></tr></table>"))
 
 
+def test_html_wrapper_takes_all_pages(spark):
+    """One page of a host with another text makes a slot of its place for all, whichever page it is and however the pages are dealt."""
+    one = lambda k, label: f"<body><div><p>Welcome to our site</p></div><div><h2>{label}</h2><p>Words of text number {k}</p></div></body>"
+    frame = lambda rows: spark.createDataFrame(rows, "page_id long, url string, html string")
+    rows = [(k, f"http://a.com/{k}", one(k, "Second part" if k == 77 else "First part")) for k in range(120)]
+    for parts in (1, 5):
+        got = {r["page_id"]: r["text"] for r in html_extract.main_text(frame(rows).repartition(parts)).collect()}
+        assert got == {k: f"{'Second' if k == 77 else 'First'} part\nWords of text number {k}" for k in range(120)}
+    # a place that few pages have is none of which the host's pages prove anything
+    rows = [(k, f"http://a.com/{k}", one(k, f"Part {k}").replace("<h2>", "<table><tr><td>Offer</td></tr></table><h2>" if k % 40 == 0 else "<h2>")) for k in range(120)]
+    got = {r["page_id"]: r["text"] for r in html_extract.main_text(frame(rows)).collect()}
+    assert got == {k: ("Offer\n" if k % 40 == 0 else "") + f"Part {k}\nWords of text number {k}" for k in range(120)}
+
+
+def test_html_many_orders_of_parts():
+    """Wrappers of pages that order their parts freely stay small and fit all of them; what frames them stays template."""
+    import random
+
+    dice = random.Random(5)
+    kinds = ["<p>{}</p>", "<h2>{}</h2>", "<ul><li>{}</li></ul>", "<p>a <b>{}</b> c</p>", "<table><tr><td>{}</td></tr></table>", "<p>x <a href='/'>{}</a> y <i>z</i></p>"]
+    pages = [f"<body><div><p>Welcome to our site</p></div><div>{''.join(dice.choice(kinds).format(f'w{dice.random()}') for _ in range(dice.randint(3, 15)))}</div><div><p>Copyright</p></div></body>" for _ in range(400)]
+    wrapper = html_extract.Wrapper(html_extract.infer(pages))
+    shapes = [[s for s, _ in html_extract.tokens(p)] for p in pages]
+    assert all(wrapper.fits(s) for s in shapes)
+    most = max(html_extract.tally(html_extract.fold(s)).total() for s in shapes)
+    assert len(html_extract.shapes_in(wrapper.parts)) <= 2 * most
+    assert not any("Welcome" in t or "Copyright" in t for t in (html_extract.extract(p, wrapper) for p in pages))
+
+
+def test_html_classes_merge_in_any_order():
+    pages = [f"<body><p>Same</p><ul>{'<li>x</li>' * (k % 3)}</ul><div>{k % 7}</div></body>" for k in range(30)]
+    whole, halves = html_extract.Classes(), [html_extract.Classes(), html_extract.Classes()]
+    for k, page in enumerate(pages):
+        whole.add("h", page)
+        halves[k % 2].add("h", page)
+    merged = html_extract.Classes()
+    for half in reversed(halves):
+        for key, (n, parts) in half.found.items():
+            merged.merge(key, n, html_extract.parts_of(html_extract.json.dumps(parts)))
+    assert merged.found == whole.found and merged.aligned() == whole.aligned() and whole.aligned()[0] == 30
+
+
 # --- 9 language ---
 
 
