@@ -34,6 +34,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from functools import cached_property
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -305,10 +306,11 @@ def groups_in(parts) -> set[tuple]:
 
 def gather(parts: list, groups: set[tuple]) -> list:
     """parts with plain sequences turned into the groups that they are one occurrence of, long ones first."""
+    cores = [core(x) for x in parts]
     for want in sorted(groups, key=lambda g: (-len(g), repr(g))):
-        cores, out, i = [core(x) for x in parts], [], 0
         if want[0] not in cores:
             continue
+        out, i = [], 0
         while i < len(parts):
             if cores[i] == want[0] and tuple(cores[i : i + len(want)]) == want:
                 out.append(("+", tuple(parts[i : i + len(want)])))
@@ -316,7 +318,8 @@ def gather(parts: list, groups: set[tuple]) -> list:
             else:
                 out.append(parts[i])
                 i += 1
-        parts = out
+        if len(out) < len(parts):
+            parts, cores = out, [core(x) for x in out]
     return parts
 
 
@@ -342,18 +345,25 @@ def tally(parts: list) -> Counter:
 
 def freed(parts: list, most: Counter) -> list:
     """parts with free groups where a shape is written more often than `most` says: over the two with the fewest parts that every page has, and all between."""
-    while True:
-        have = tally(parts)
-        over = next((s for s, n in have.items() if n > most[s]), None)
-        if over is None:
-            return parts
-        at = [i for i, x in enumerate(parts) if over in tally([x])]
-        kept = [not (isinstance(x, tuple) and x[0] in "?*") for x in parts]
-        first, last = min(zip(at, at[1:]), key=lambda x: (sum(kept[x[0] : x[1] + 1]), x[1] - x[0]), default=(at[0], at[0]))
-        shapes: dict[str, str] = {}
-        for x in shapes_in(parts[first : last + 1]):
-            shapes[s] = meet(shapes[s], x, False) if (s := x.partition(BAR)[0]) in shapes else x
-        parts = [*parts[:first], ("*", tuple(shapes[s] for s in sorted(shapes))), *parts[last + 1 :]]
+    have = tally(parts)
+    if all(n <= most[s] for s, n in have.items()):
+        return parts
+    parts, inner = [*parts], [tally([x]) for x in parts]
+    kept = [not (isinstance(x, tuple) and x[0] in "?*") for x in parts]
+    for over in [*have]:
+        while have[over] > most[over]:
+            at = [i for i, c in enumerate(inner) if over in c]
+            upto = [*accumulate(kept, initial=0)]
+            first, last = min(zip(at, at[1:]), key=lambda x: (upto[x[1] + 1] - upto[x[0]], x[1] - x[0]), default=(at[0], at[0]))
+            span = slice(first, last + 1)
+            shapes: dict[str, str] = {}
+            for x in shapes_in(parts[span]):
+                shapes[s] = meet(shapes[s], x, False) if (s := x.partition(BAR)[0]) in shapes else x
+            for c in inner[span]:
+                have.subtract(c)
+            have.update(shapes.keys())
+            parts[span], inner[span], kept[span] = [("*", tuple(shapes[s] for s in sorted(shapes)))], [Counter(shapes.keys())], [False]
+    return parts
 
 
 def shapes_in(parts) -> list[str]:
